@@ -31,8 +31,8 @@ def held_out(col):
 
 
 def toxic_model(docs: DataFrame, labels: DataFrame) -> toxicity.SubwordModel:
-    texts, marks = toxicity.training_sample(docs, labels, ~held_out(F.col("id")))
-    return toxicity.train(texts, marks)
+    texts, marks, prior = toxicity.training_sample(docs, labels, ~held_out(F.col("id")))
+    return toxicity.train(texts, marks, prior=prior)
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,13 +1,14 @@
 """Toxicity of whole texts: subword-bag embeddings averaged into a linear softmax.
 
-A word is the average of the embeddings of its hashed character n-grams (3 to 5, with word marks), a
-passage of PASSAGE words is the average of its words, and a linear softmax turns that average into two
+A word is the average of the embeddings of its hashed character n-grams (3 to 6, with word marks), a
+passage of PASSAGE words is the average of its distinct words (short ones are padded with blanks, so that
+neither a repeated nor a lone word passes for a whole passage), and a linear softmax turns that average into two
 class probabilities. Embeddings and softmax are trained together in numpy by full-batch Adam: first on
-whole texts, then on the passage of each text that looks most toxic, which is also how a text is scored:
-its score is that of its worst passage. So one insult is not thinned out by a long text, and unseen
+whole texts, then on the passage of each toxic text that looks most toxic and on all passages of the others,
+their worst one weighing most. A text is scored the same way: its score is that of its worst passage. So one insult is not thinned out by a long text, and unseen
 spellings share the n-gram vectors of seen ones.
 
-Learning uses a bounded sample of labelled rows: PER_CLASS texts of either class, those with the smallest
+Learning uses a bounded sample of labelled rows: PER_CLASS texts of each class, those with the smallest
 hash of their id. Everything else reads every row and whole texts. As the softmax is linear in an
 average, a trained model is one number for each n-gram bucket and one bias; that is all tasks receive.
 
@@ -29,10 +30,11 @@ from pyspark.sql import functions as F
 
 from halo.llm.tokenise import _shared
 
-PER_CLASS = 800
-BUCKETS = 1 << 17
+PER_CLASS = (1600, 800)  # clean, toxic
+BUCKETS = 1 << 18
 DIM = 4
 PASSAGE = 48
+GRAMS = (3, 4, 5, 6)
 WORD = re.compile(r"[^\W_]+")
 CACHE_WORDS = 300_000
 
@@ -47,7 +49,7 @@ def ngram_buckets(words: list[str], buckets: int = BUCKETS) -> tuple[np.ndarray,
     end = np.repeat(np.cumsum(lengths), lengths)
     at = np.arange(len(chars))
     whose, where = [], []
-    for n in (3, 4, 5):
+    for n in GRAMS:
         k = np.flatnonzero(at + n <= end)
         h = np.full(len(k), n, np.uint64)
         for j in range(n):
@@ -87,13 +89,13 @@ class SubwordModel:
         out = np.full(len(texts), self.bias)
         for k, ws in enumerate(split):
             if ws:
-                s = np.fromiter((known[w] if w in known else extra[w] for w in ws), np.float64, len(ws))
-                starts = np.arange(0, len(s), PASSAGE)
-                out[k] += (np.add.reduceat(s, starts) / np.minimum(PASSAGE, len(s) - starts)).max()
+                values = [known[w] if w in known else extra[w] for w in ws]
+                sums = [sum(dict(zip(ws[a : a + PASSAGE], values[a : a + PASSAGE])).values()) for a in range(0, len(ws), PASSAGE)]
+                out[k] += max(sums) / PASSAGE
         return 1.0 / (1.0 + np.exp(-np.clip(out, -60, 60)))
 
 
-def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int = DIM, warm: int = 30, steps: int = 60, rate: float = 0.3, decay: float = 1e-6, seed: int = 7) -> SubwordModel:
+def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int = DIM, warm: int = 30, steps: int = 60, rate: float = 0.3, decay: float = 1e-6, easy: float = 0.2, floor: float = 1e-7, prior: float = 0.5, spread: float = 0.01, seed: int = 7) -> SubwordModel:
     """Fit embeddings, softmax and bias together."""
     y_all = np.asarray(labels)
     if len(set(labels)) < 2:
@@ -103,17 +105,19 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
     for d, text in enumerate(texts):
         ws = words_of(text)
         for s in range(0, len(ws), PASSAGE):
-            part = ws[s : s + PASSAGE]
+            part = list(dict.fromkeys(ws[s : s + PASSAGE]))
             tokens.append(np.fromiter((vocabulary.setdefault(w, len(vocabulary)) for w in part), np.int64, len(part)))
             passage_of.append(np.full(len(part), len(lengths)))
             doc_of.append(d)
             lengths.append(len(part))
+    if not tokens:
+        return SubwordModel(np.zeros(buckets), -60.0)
     token, passage = np.concatenate(tokens), np.concatenate(passage_of)
     doc, size = np.array(doc_of), np.array(lengths, np.float64)
     whose, where = ngram_buckets(list(vocabulary), buckets)
     grams = np.maximum(np.bincount(whose, minlength=len(vocabulary)), 1).astype(np.float64)
     rng = np.random.default_rng(seed)
-    embed = rng.normal(0, 0.1, (buckets, dim))
+    embed = rng.normal(0, spread, (buckets, dim))
     soft = rng.normal(0, 0.5, (dim, 2))
     bias = np.zeros(2)
     moments = [(np.zeros_like(p), np.zeros_like(p)) for p in (embed, soft, bias)]
@@ -123,14 +127,14 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
     for t in range(1, warm + steps + 1):
         word_vec = np.stack([np.bincount(whose, embed[where, k], len(vocabulary)) for k in range(dim)], 1) / grams[:, None]
         sums = np.stack([np.bincount(passage, word_vec[token, k], len(size)) for k in range(dim)], 1)
-        mean = sums / size[:, None]
+        mean = sums / PASSAGE
         if t <= warm:  # every passage, so that a text weighs one
             weight = size / doc_words[doc]
         else:  # the most toxic passage of each text
             logit = mean @ (soft[:, 1] - soft[:, 0])
             order = np.lexsort((-logit, doc))
             first = order[np.concatenate([[True], doc[order][1:] != doc[order][:-1]])]
-            weight = np.zeros(len(size))
+            weight = (y == 0) * easy
             weight[first] = 1.0
         for c in (0, 1):
             weight[y == c] *= 0.5 / max(weight[y == c].sum(), 1e-12)
@@ -140,7 +144,7 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
         p /= p.sum(axis=1, keepdims=True)
         p[np.arange(len(y)), y] -= 1
         p *= weight[:, None]
-        g_soft, g_bias, g_mean = mean.T @ p, p.sum(axis=0), (p @ soft.T) / size[:, None]
+        g_soft, g_bias, g_mean = mean.T @ p, p.sum(axis=0), (p @ soft.T) / PASSAGE
         g_word = np.stack([np.bincount(token, g_mean[passage, k], len(vocabulary)) for k in range(dim)], 1) / grams[:, None]
         g_embed = np.stack([np.bincount(where, g_word[whose, k], buckets) for k in range(dim)], 1) + decay * embed
         for (m, v), p_, g in zip(moments, (embed, soft, bias), (g_embed, g_soft, g_bias)):
@@ -148,20 +152,23 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
             m += 0.1 * g
             v *= 0.98
             v += 0.02 * g * g
-            p_ -= rate / (1 + 3 * t / (warm + steps)) * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.98**t)) + 1e-9)
+            p_ -= rate / (1 + 3 * t / (warm + steps)) * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.98**t)) + floor)
         best = (embed, soft, bias)
     embed, soft, bias = best
-    return SubwordModel(embed @ (soft[:, 1] - soft[:, 0]), float(bias[1] - bias[0]))
+    # Classes weigh alike while learning; the bias then moves to the share of toxic texts among the labels.
+    shift = np.log(prior / (1 - prior)) if 0 < prior < 1 else 0.0
+    return SubwordModel(embed @ (soft[:, 1] - soft[:, 0]), float(bias[1] - bias[0] + shift))
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: int = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[str], list[int]]:
-    """At most `per_class` labelled texts of either class, from rows whose id `allowed` admits."""
+def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: tuple[int, int] = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[str], list[int], float]:
+    """At most `per_class` labelled texts of each class, from rows whose id `allowed` admits, and the share of toxic ones among all of these."""
     rows = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y")).where(F.col("id").isNotNull() & allowed)
-    picked = [rows.where(F.col("y") == c).orderBy(F.xxhash64("id"), "id").limit(per_class) for c in (0, 1)]
+    picked = [rows.where(F.col("y") == c).orderBy(F.xxhash64("id"), "id").limit(per_class[c]) for c in (0, 1)]
     chosen = picked[0].unionByName(picked[1]).groupBy("id").agg(F.max("y").alias("y"))
     found = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "id").where(F.length("text") > 0)
     pairs = sorted((r.id, r.text, r.y) for r in found.collect())
-    return [t for _, t, _ in pairs], [y for _, _, y in pairs]
+    prior = rows.agg(F.avg("y").alias("p")).head().p
+    return [t for _, t, _ in pairs], [y for _, _, y in pairs], float(prior or 0.0)
 
 
 def score_documents(docs: DataFrame, model: SubwordModel, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
