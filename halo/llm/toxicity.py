@@ -95,7 +95,7 @@ class SubwordModel:
         return 1.0 / (1.0 + np.exp(-np.clip(out, -60, 60)))
 
 
-def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int = DIM, warm: int = 30, steps: int = 60, rate: float = 0.3, decay: float = 1e-6, easy: float = 0.2, floor: float = 1e-7, prior: float = 0.5, spread: float = 0.01, seed: int = 7) -> SubwordModel:
+def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int = DIM, warm: int = 30, steps: int = 60, rate: float = 0.3, decay: float = 1e-6, easy: float = 0.2, floor: float = 1e-7, spread: float = 0.01, seed: int = 7) -> SubwordModel:
     """Fit embeddings, softmax and bias together."""
     y_all = np.asarray(labels)
     if len(set(labels)) < 2:
@@ -155,20 +155,17 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
             p_ -= rate / (1 + 3 * t / (warm + steps)) * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.98**t)) + floor)
         best = (embed, soft, bias)
     embed, soft, bias = best
-    # Classes weigh alike while learning; the bias then moves to the share of toxic texts among the labels.
-    shift = np.log(prior / (1 - prior)) if 0 < prior < 1 else 0.0
-    return SubwordModel(embed @ (soft[:, 1] - soft[:, 0]), float(bias[1] - bias[0] + shift))
+    return SubwordModel(embed @ (soft[:, 1] - soft[:, 0]), float(bias[1] - bias[0]))
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: tuple[int, int] = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[str], list[int], float]:
-    """At most `per_class` labelled texts of each class, from rows whose id `allowed` admits, and the share of toxic ones among all of these."""
+def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: tuple[int, int] = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[str], list[int]]:
+    """At most `per_class` labelled texts of each class, from rows whose id `allowed` admits."""
     rows = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y")).where(F.col("id").isNotNull() & allowed)
     picked = [rows.where(F.col("y") == c).orderBy(F.xxhash64("id"), "id").limit(per_class[c]) for c in (0, 1)]
     chosen = picked[0].unionByName(picked[1]).groupBy("id").agg(F.max("y").alias("y"))
     found = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "id").where(F.length("text") > 0)
     pairs = sorted((r.id, r.text, r.y) for r in found.collect())
-    prior = rows.agg(F.avg("y").alias("p")).head().p
-    return [t for _, t, _ in pairs], [y for _, _, y in pairs], float(prior or 0.0)
+    return [t for _, t, _ in pairs], [y for _, _, y in pairs]
 
 
 def score_documents(docs: DataFrame, model: SubwordModel, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
