@@ -6,15 +6,17 @@ in at most chunks * (errors + 1) - 1 coordinates have a chunk with at most `erro
 index enumerates those errors by leaving out each set of `errors` coordinates of a chunk, so that pair
 shares a key. With the production values (60 coordinates, 12 chunks of 5, 1 error) every pair of up to
 23 differing coordinates is met, and a pair at similarity 0.8 misses all 12 chunks with probability
-1e-7. Every pair that shares a key is a candidate, whatever its signature distance; a link needs the full sets.
+1e-7. A link needs the full sets.
 
 Only components are wanted, so pairs inside a bucket are not all formed:
 1. Documents with equal sets become one representative.
 2. Star rounds: in each bucket all members are compared with one leader; confirmed links are contracted
-   to components. The leader changes with the round, and only buckets that still hold several components
-   take part. A group of near copies collapses at linear cost.
-3. The rest is exact: in each bucket left, members outside the bucket's largest component are compared
-   with all members of other components.
+   to components. Leaders are central documents, those whose keys many others share (the untouched
+   original of a family links far more of its copies than a copy does), with jitter from round to round.
+   Only buckets that still hold several components take part. A family collapses at linear cost.
+3. The rest is exact without a row for any pair. Members of a bucket gather under its most central
+   document; members outside the largest component of such a gathering are compared with all its members
+   on full sets, in blocks of BLOCK by BLOCK documents spread over tasks, and only links come out.
 Set sizes outside the ratio that the threshold allows are never compared. Links, components and sets stay
 in tables; every round is written to the shared scratch folder.
 
@@ -41,6 +43,8 @@ from halo.llm.tokenise import _shared
 #: Ids of documents with candidate links up to this many (8 bytes each) are broadcast to the scan of texts.
 BROADCAST_IDS = 2_000_000
 WORD_CACHE = 400_000
+#: Documents of a block in the comparisons that are left after the star rounds.
+BLOCK = 2048
 
 U = np.uint64
 # Odd multipliers of the mixing function.
@@ -55,7 +59,7 @@ class NearConfig:
     chunks: int = 12
     errors: int = 1
     seed: int = 20240229
-    star_rounds: int = 3
+    star_rounds: int = 2
     ascii_words: bool = True
 
     @property
@@ -149,8 +153,8 @@ def _sketch(config: NearConfig):
                 s = shingle_set(texts[k].as_py(), config.words)
                 n.append(len(s))
                 digest.append(xxhash.xxh3_128_digest(s.tobytes()))
-                sigs.append(signature(s, a, b).tobytes() if len(s) else b"")
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.array(sigs, pa.binary())], ["doc_id", "n_shingles", "digest", "sig"])
+                sigs.append(signature(s, a, b).view(np.int64) if len(s) else None)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.array(sigs, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "digest", "sig"])
 
     return run
 
@@ -160,7 +164,7 @@ def _keys(config: NearConfig):
         for batch in batches:
             for at in range(0, batch.num_rows, 4096):
                 part = batch.slice(at, 4096)
-                sig = np.frombuffer(b"".join(part.column(2).to_pylist()), np.uint16).reshape(part.num_rows, config.coords)
+                sig = part.column(2).flatten().to_numpy(zero_copy_only=False).view(np.uint16).reshape(part.num_rows, config.coords)
                 keys = chunk_keys(sig, config)
                 wide = keys.shape[1]
                 ids = part.column(0).to_numpy(zero_copy_only=False)
@@ -242,51 +246,96 @@ def _sets_of(docs: DataFrame, ids: DataFrame, words: int, n_ids: int) -> DataFra
     return docs.join(ids, "id", "left_semi").select("id", "text").mapInArrow(_sets(words), "id bigint, shingles array<bigint>")
 
 
+def _block_links(percent: int):
+    def run(table: pa.Table) -> pa.Table:
+        role, ids, comp = (table.column(k).to_numpy() for k in ("role", "id", "c"))
+        lists = table.column("shingles").combine_chunks()
+        flat, ends = lists.flatten().to_numpy(), lists.offsets.to_numpy()
+        ends = ends - ends[0]
+        size = np.diff(ends)
+        names, token = np.unique(flat, return_inverse=True)
+        whole, side = np.flatnonzero(role == 0), np.flatnonzero(role == 1)
+        a, b = [], []
+        if len(whole) and len(side):
+            tokens = np.concatenate([token[ends[k] : ends[k + 1]] for k in whole])
+            starts = np.concatenate([[0], np.cumsum(size[whole])[:-1]])
+            mark = np.zeros(len(names), np.int32)
+            for k in side:
+                mine = token[ends[k] : ends[k + 1]]
+                mark[mine] = 1
+                common = np.add.reduceat(mark[tokens], starts)
+                mark[mine] = 0
+                linked = (100 * common >= percent * (size[whole] + size[k] - common)) & (comp[whole] != comp[k])
+                a.append(np.full(int(linked.sum()), ids[k]))
+                b.append(ids[whole][linked])
+        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (a, b))
+        return pa.table({"a": pa.array(np.minimum(a, b), pa.int64()), "b": pa.array(np.maximum(a, b), pa.int64())})
+
+    return run
+
+
+def _block_compare(live: DataFrame, sets: DataFrame, percent: int, path: str) -> DataFrame:
+    """Links between different components under one pivot, found block by block."""
+    members = live.select(F.col("lead.id").alias("p"), "id", "c").distinct()
+    counts = members.groupBy("p", "c").agg(F.count(F.lit(1)).alias("m"))
+    main = counts.groupBy("p").agg(F.max_by("c", F.struct("m", "c")).alias("main"), F.max("m").alias("top"), F.sum("m").alias("all"), F.count(F.lit(1)).alias("k"))
+    blocks = main.where("k > 1").select("p", "main", F.ceil(F.col("all") / BLOCK).cast("int").alias("nw"), F.ceil((F.col("all") - F.col("top")) / BLOCK).cast("int").alias("ns"))
+    known = stash(members.join(blocks, "p"), path, "zstd")
+
+    def dealt(own: str, own_n: str, other: str, other_n: str, role: int, rows: DataFrame) -> DataFrame:
+        block = F.pmod(F.xxhash64("id"), F.col(own_n)).cast("int").alias(own)
+        return rows.select("p", "id", "c", F.lit(role).alias("role"), block, F.explode(F.sequence(F.lit(0), F.col(other_n) - 1)).alias(other))
+
+    cells = dealt("w", "nw", "s", "ns", 0, known).unionByName(dealt("s", "ns", "w", "nw", 1, known.where("c <> main")))
+    return cells.join(sets, "id").groupBy("p", "w", "s").applyInArrow(_block_links(percent), "a bigint, b bigint")
+
+
 def near_groups(docs: DataFrame, config: NearConfig = NearConfig(), text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """Per row of `docs`: doc_id, n_shingles, component_id, kept."""
     spark: SparkSession = docs.sparkSession
     root = scratch_root(spark)
     pairs = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
-    sketches = stash(pairs.mapInArrow(_sketch(config), "doc_id bigint, n_shingles bigint, digest binary, sig binary"), f"{root}/sketches")
+    sketches = stash(pairs.mapInArrow(_sketch(config), "doc_id bigint, n_shingles bigint, digest binary, sig array<bigint>"), f"{root}/sketches")
     full = sketches.where("n_shingles > 0 and doc_id is not null")
-    reps = stash(full.groupBy("digest", "n_shingles").agg(F.min("doc_id").alias("id"), F.min("sig").alias("sig")), f"{root}/reps")
-    keyed = reps.select("id", F.col("n_shingles").alias("n"), "sig").mapInArrow(_keys(config), "id bigint, n bigint, key bigint")
+    reps = stash(full.groupBy("digest", "n_shingles").agg(F.min("doc_id").alias("id"), F.first("sig").alias("sig")), f"{root}/reps")
+    # Two different sets are similar enough only if the smaller one is at least this large.
+    able = reps.where(F.col("n_shingles") * 100 >= (F.col("n_shingles") + 1) * config.percent)
+    keyed = able.select("id", F.col("n_shingles").alias("n"), "sig").mapInArrow(_keys(config), "id bigint, n bigint, key bigint")
     # Keys that one representative alone has cannot link it.
-    common = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("_m")).where("_m > 1").select("key")
-    index = stash(keyed.join(common, "key", "left_semi"), f"{root}/index", "zstd")
+    common = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+    index = stash(keyed.join(common, "key"), f"{root}/index", "zstd")
+    # How many others share the keys of a document: central members of a family have the most.
+    central = stash(index.groupBy("id").agg(F.sum("m").cast("double").alias("central")), f"{root}/central")
     edges, labels, sets, seen = [], None, None, None
-    candidates = stash(index.select("id").distinct(), f"{root}/candidates")
-    sets = stash(_sets_of(pairs, candidates, config.words, candidates.count()), f"{root}/sets")
-    live = index
+    sets = stash(_sets_of(pairs, central.select("id"), config.words, central.count()), f"{root}/sets")
+    live = index.join(central, "id").select("id", "n", "key", "central")
     for r in range(config.star_rounds + 1):
         rows = _labelled(live, labels)
-        per = rows.groupBy("key").agg(F.min("c").alias("_lo"), F.max("c").alias("_hi"), F.min_by(F.struct("id", "n", "c"), F.xxhash64("id", F.lit(r))).alias("lead"))
+        last = r == config.star_rounds
+        jitter = F.pmod(F.xxhash64("id", F.lit(r)), F.lit(1000)) / 1000.0
+        rank = F.col("central") if last else F.col("central") * (1.0 - (0.3 * min(r, config.star_rounds - 1)) * jitter)
+        per = rows.groupBy("key").agg(F.min("c").alias("_lo"), F.max("c").alias("_hi"), F.max_by(F.struct("id", "n", "c"), F.struct(rank, F.col("id"))).alias("lead"))
         mixed = per.where("_lo < _hi").select("key", "lead")
         live_rows = stash(rows.join(mixed, "key"), f"{root}/live{r}", "zstd")
         if live_rows.isEmpty():
             break
-        last = r == config.star_rounds
-        if not last:
-            near = live_rows.where((F.col("c") != F.col("lead.c")) & sizes_allow(F.col("n"), F.col("lead.n"), config.percent))
-            made = near.select(F.least("id", "lead.id").alias("a"), F.greatest("id", "lead.id").alias("b"))
-        else:
-            sizes = live_rows.groupBy("key", "c").agg(F.count(F.lit(1)).alias("_m"))
-            main = sizes.groupBy("key").agg(F.max_by("c", F.struct("_m", F.col("c"))).alias("_main"))
-            side = live_rows.join(main, "key").where("c <> _main").select("key", F.col("id").alias("id2"), F.col("n").alias("n2"), F.col("c").alias("c2"))
-            both = live_rows.select("key", "id", "n", "c").join(side, "key").where((F.col("c") != F.col("c2")) & sizes_allow(F.col("n"), F.col("n2"), config.percent))
-            made = both.select(F.least("id", "id2").alias("a"), F.greatest("id", "id2").alias("b"))
+        near = live_rows.where((F.col("c") != F.col("lead.c")) & sizes_allow(F.col("n"), F.col("lead.n"), config.percent))
+        made = near.select(F.least("id", "lead.id").alias("a"), F.greatest("id", "lead.id").alias("b"))
         made = made.distinct()
         if seen is not None:
             made = made.join(seen, ["a", "b"], "left_anti")
         made = stash(made, f"{root}/pairs{r}")
         seen = made if seen is None else seen.unionByName(made)
-        if not made.isEmpty():
-            edges.append(stash(confirm(made, sets, config.percent), f"{root}/links{r}"))
+        found = [] if made.isEmpty() else [confirm(made, sets, config.percent)]
+        found += [_block_compare(live_rows, sets, config.percent, f"{root}/pivots")] if last else []
+        if found:
+            links = found[0] if len(found) == 1 else found[0].unionByName(found[1])
+            edges.append(stash(links.distinct(), f"{root}/links{r}"))
             every = edges[0]
             for e in edges[1:]:
                 every = every.unionByName(e)
             labels = stash(components(every, f"{root}/cc{r}"), f"{root}/labels{r}")
-        live = live_rows.select("id", "n", "key")
+        live = live_rows.select("id", "n", "key", "central")
     named = _labelled(reps.select("id", "digest", "n_shingles"), labels).select("digest", "n_shingles", F.col("c").alias("_c"))
     joined = sketches.select("doc_id", "n_shingles", "digest").join(named, ["digest", "n_shingles"], "left")
     own = (F.col("n_shingles") == 0) | F.col("doc_id").isNull() | F.col("_c").isNull()
