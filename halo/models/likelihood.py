@@ -119,6 +119,8 @@ def gradient_fit(source, d: int, p: int, pi: np.ndarray, step="spectral", tol: f
             options = evaluate([theta - s * g for s in steps])
             best = min(range(6), key=lambda j: options[j][0])
             size = steps[best]
+            if f - options[best][0] <= 1e-14 * (1 + abs(f)):  # nothing left to gain at this precision
+                break
             theta, (f, g, n) = theta - size * g, options[best]
         else:
             theta = theta - size * g
