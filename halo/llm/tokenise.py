@@ -15,14 +15,18 @@ import types
 
 import numpy as np
 
-CACHE_PIECES = 300_000
-CACHE_PIECE_CHARS = 48
+CACHE_PIECES = 400_000
 
 # Code points (first, last) of white space and joiners outside space, tab, line feed, carriage return.
 ODD_RANGES = ((0x0B, 0x0C), (0x1C, 0x1F), (0x85, 0x85), (0xA0, 0xA0), (0x1680, 0x1680), (0x180E, 0x180E), (0x2000, 0x200F), (0x2028, 0x202F), (0x205F, 0x2060), (0x3000, 0x3000), (0xFEFF, 0xFEFF))
 ODD_SPACE = re.compile("[" + "".join(f"{chr(a)}-{chr(b)}" for a, b in ODD_RANGES) + "]")
-PIECES = re.compile(r"[ \t\n\r]*[^ \t\n\r]+|[ \t\n\r]+")
-WORDS = re.compile(r"[^ \t\n\r]+")
+# A run of Latin letters is cut off where ASCII punctuation or white space follows: no vocabulary here joins the two.
+_LETTERS = "[A-Za-z" + "".join(f"{chr(a)}-{chr(b)}" for a, b in ((0xC0, 0xD6), (0xD8, 0xF6), (0xF8, 0x24F))) + "]+"
+_RUN = _LETTERS + "(?=[ \\t\\n\\r.,;:!?'\"|)]|\\Z)"
+PIECES = re.compile(f" ?{_RUN}|[ \\t\\n\\r]*[^ \\t\\n\\r]+|[ \\t\\n\\r]+")
+WORDS = re.compile(f"{_RUN}|[^ \\t\\n\\r]+")
+# Lower-casing before the vocabulary's own lower-casing shares cache entries; left out where the two might differ.
+NOT_LATIN = re.compile(f"[{chr(0x130)}{chr(0x250)}-{chr(0x10FFFF)}]")
 
 
 def _shared() -> dict:
@@ -39,6 +43,13 @@ class PieceEncoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.pattern = PIECES if keeps_space else WORDS
+        self.folds = not keeps_space
+        # Ids that close a word (end mark) or open one (leading space).
+        names = self.tokenizer.get_vocab(with_added_tokens=False)
+        self.edge = np.zeros(self.tokenizer.get_vocab_size(), bool)
+        for name, k in names.items():
+            self.edge[k] = name.endswith("</w>") if self.folds else name.startswith(chr(0x120))
+        self.simple = re.compile(("" if self.folds else " ") + _LETTERS + "\\Z").match
         self.known: dict[str, bytes] = {}
 
     @staticmethod
@@ -49,36 +60,57 @@ class PieceEncoder:
         return shared[key]
 
     def _encode(self, texts: list[str]) -> list[bytes]:
-        done = self.tokenizer.encode_batch(texts, add_special_tokens=False)
+        done = self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)
         return [np.asarray(e.ids, "<u4").tobytes() for e in done]
 
+    def _learn(self, names: list[str]) -> None:
+        """Put the ids of new pieces into the cache. Plain words are encoded many to a text, which is faster than one by one."""
+        plain = [x for x in names if self.simple(x)]
+        rest = [x for x in names if not self.simple(x)]
+        glue = "" if not self.folds else " "
+        groups = [plain[k : k + 512] for k in range(0, len(plain), 512)]
+        for at in range(0, len(groups), 16):
+            part = groups[at : at + 16]
+            for words, e in zip(part, self.tokenizer.encode_batch_fast([glue.join(g) for g in part], add_special_tokens=False)):
+                ids = np.asarray(e.ids, "<u4")
+                mark = self.edge[ids]
+                if int(mark.sum()) != len(words):
+                    rest += words
+                    continue
+                where = np.flatnonzero(mark) * 4
+                raw = ids.tobytes()
+                if self.folds:  # the mark is on a word's last id
+                    ends = (where + 4).tolist()
+                    starts = [0, *ends[:-1]]
+                else:  # on its first
+                    starts = where.tolist()
+                    ends = [*starts[1:], len(raw)]
+                self.known.update(zip(words, [raw[a:b] for a, b in zip(starts, ends)]))
+        for k in range(0, len(rest), 8192):
+            self.known.update(zip(rest[k : k + 8192], self._encode(rest[k : k + 8192])))
+
     def encode(self, texts: list[str | None], end_id: int) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text, with `end_id` appended."""
         end, split, out = int(end_id).to_bytes(4, "little"), [], []
-        fresh: dict[str, bytes] = {}
+        known, seen = self.known, set()
         for t in texts:
             t = t or ""
-            pieces = None if ODD_SPACE.search(t) else self.pattern.findall(t)
+            if not ODD_SPACE.search(t):
+                u = t.lower() if self.folds and (t.isascii() or not NOT_LATIN.search(t)) else t
+                pieces = self.pattern.findall(u)
+                seen.update(pieces)
+            else:
+                pieces = None
             split.append((t, pieces))
-            if pieces:
-                fresh.update(dict.fromkeys(set(pieces).difference(self.known), b""))
-        if fresh:
-            names = list(fresh)
-            for k in range(0, len(names), 8192):
-                fresh.update(zip(names[k : k + 8192], self._encode(names[k : k + 8192])))
-            room = CACHE_PIECES - len(self.known)
-            if room > 0:
-                short = [x for x in names if len(x) <= CACHE_PIECE_CHARS][:room]
-                self.known.update((x, fresh[x]) for x in short)
-        known = self.known
+        fresh = [x for x in seen if x not in known]
+        self._learn(fresh)
+        get = known.__getitem__
         for t, pieces in split:
-            if pieces is None:
-                ids = self._encode([t])[0]
-            elif fresh:
-                ids = b"".join([known[x] if x in known else fresh[x] for x in pieces])
-            else:
-                ids = b"".join([known[x] for x in pieces])
-            out.append(ids + end)
+            out.append((self._encode([t])[0] if pieces is None else b"".join(map(get, pieces))) + end)
+        spare = len(known) - CACHE_PIECES
+        if spare > 0:  # what does not fit stays for this call only
+            for x in fresh[-spare:]:
+                del known[x]
         return out
 
 
