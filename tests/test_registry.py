@@ -33,7 +33,7 @@ def test_query_equals_sql(spark, tiny, con, name):
     assert list(got.columns) == list(want.columns) and len(got) == len(want)
     for c in got.columns:
         a, b = got[c].tolist(), want[c].tolist()
-        assert all(x == y or (x is not None and y is not None and not isinstance(x, str) and np.isclose(x, y, atol=1e-6)) for x, y in zip(a, b)), c
+        assert all(x == y or (x is not None and y is not None and not isinstance(x, str) and np.isclose(x, y, atol=1e-6, equal_nan=True)) for x, y in zip(a, b)), c
 
 
 def test_entry(spark, tiny):
