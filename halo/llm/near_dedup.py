@@ -42,7 +42,7 @@ from halo.llm.tokenise import _shared
 
 #: Ids of documents with candidate links up to this many (8 bytes each) are broadcast to the scan of texts.
 BROADCAST_IDS = 2_000_000
-WORD_CACHE = 400_000
+WORD_CACHE = 250_000
 #: Documents of a block in the comparisons that are left after the star rounds.
 BLOCK = 2048
 
@@ -79,7 +79,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 def word_hashes(words: list[bytes]) -> np.ndarray:
-    known = _shared().setdefault("word_hashes", {})
+    known = _shared("near").setdefault("word_hashes", {})
     try:
         return np.fromiter(map(known.__getitem__, words), U, len(words))
     except KeyError:

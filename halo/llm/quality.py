@@ -27,7 +27,7 @@ from halo.llm.tokenise import _shared
 
 SAMPLE = 4000
 HASHED = 1 << 16
-CACHE_WORDS = 300_000
+CACHE_WORDS = 200_000
 # Frequent function words of the corpus languages.
 FUNCTION_WORDS = frozenset("a al and are as at be but by con das de del den der des die el en es et for from has ich in is ist it la las le les los mit not of on que se sich the to un une und une von was with y zu".split())
 LABELLERS = ("length", "variety", "capitals", "symbols", "lines", "word_size", "function_words", "top_word")
@@ -197,7 +197,7 @@ def classify(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", sa
     weight, bias = scorer.weight.astype(np.float32), scorer.bias
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, known = LinearScorer(weight.astype(np.float64), bias), _shared().setdefault("quality_words", {})
+        own, known = LinearScorer(weight.astype(np.float64), bias), _shared("quality").setdefault("quality_words", {})
         for batch in batches:
             cast, score = [], []
             for t in batch.column(1):

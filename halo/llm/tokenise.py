@@ -15,7 +15,7 @@ import types
 
 import numpy as np
 
-CACHE_PIECES = 400_000
+CACHE_PIECES = 250_000
 
 # Code points (first, last) of white space and joiners outside space, tab, line feed, carriage return.
 ODD_RANGES = ((0x0B, 0x0C), (0x1C, 0x1F), (0x85, 0x85), (0xA0, 0xA0), (0x1680, 0x1680), (0x180E, 0x180E), (0x2000, 0x200F), (0x2028, 0x202F), (0x205F, 0x2060), (0x3000, 0x3000), (0xFEFF, 0xFEFF))
@@ -29,9 +29,18 @@ WORDS = re.compile(f"{_RUN}|[^ \\t\\n\\r]+")
 NOT_LATIN = re.compile(f"[{chr(0x130)}{chr(0x250)}-{chr(0x10FFFF)}]")
 
 
-def _shared() -> dict:
-    """State of this Python worker, kept on a module of its own so that it survives from task to task."""
-    return sys.modules.setdefault("_halo_llm_worker", types.ModuleType("_halo_llm_worker")).__dict__
+def _shared(owner: str) -> dict:
+    """State of this Python worker, kept on a module of its own so that it survives from task to task.
+
+    One operator owns it at a time: workers serve the stages of a pipeline one after another, and the
+    caches of past stages would add up.
+    """
+    state = sys.modules.setdefault("_halo_llm_worker", types.ModuleType("_halo_llm_worker")).__dict__.setdefault("state", {})
+    if state.get("owner") != owner:
+        state.clear()
+        state["owner"] = owner
+    return state
+
 
 
 class PieceEncoder:
@@ -54,7 +63,7 @@ class PieceEncoder:
 
     @staticmethod
     def of(path: str, keeps_space: bool) -> "PieceEncoder":
-        shared, key = _shared(), ("encoder", path, keeps_space)
+        shared, key = _shared("encoder"), ("encoder", path, keeps_space)
         if key not in shared:
             shared[key] = PieceEncoder(path, keeps_space)
         return shared[key]

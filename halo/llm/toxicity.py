@@ -36,7 +36,7 @@ DIM = 4
 PASSAGE = 48
 GRAMS = (3, 4, 5, 6)
 WORD = re.compile(r"[^\W_]+")
-CACHE_WORDS = 300_000
+CACHE_WORDS = 200_000
 
 
 def ngram_buckets(words: list[str], buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray]:
@@ -175,7 +175,7 @@ def score_documents(docs: DataFrame, model: SubwordModel, text_col: str = "text"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = SubwordModel(weight.astype(np.float64), bias)
-        shared, mark = _shared(), hash((weight.tobytes(), bias))
+        shared, mark = _shared("toxic"), hash((weight.tobytes(), bias))
         if shared.get("toxic_mark") != mark:
             shared.update(toxic_mark=mark, toxic_words={})
         for batch in batches:
