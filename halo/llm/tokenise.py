@@ -15,7 +15,7 @@ import types
 
 import numpy as np
 
-CACHE_PIECES = 250_000
+CACHE_PIECES = 500_000
 
 # Code points (first, last) of white space and joiners outside space, tab, line feed, carriage return.
 ODD_RANGES = ((0x0B, 0x0C), (0x1C, 0x1F), (0x85, 0x85), (0xA0, 0xA0), (0x1680, 0x1680), (0x180E, 0x180E), (0x2000, 0x200F), (0x2028, 0x202F), (0x205F, 0x2060), (0x3000, 0x3000), (0xFEFF, 0xFEFF))
