@@ -35,6 +35,20 @@ def stash_rows(spark: SparkSession, rows: list, schema: str, path: str) -> DataF
     return stash(spark.createDataFrame(rows, schema).coalesce(1), path)
 
 
+def hash_sample(rows: DataFrame, key: str, most: int) -> DataFrame:
+    """One row for each of the `most` keys with the smallest hash; of repeated keys the smallest other columns.
+
+    Keys are counted first, and a threshold on the hash keeps some more than needed. Only those are
+    shuffled and sorted, so what one task receives is bounded by `most` and not by the input.
+    """
+    n = rows.agg(F.approx_count_distinct(key)).first()[0]
+    share, h = (1.5 * most + 1000) / max(n, 1), F.xxhash64(key)
+    few = rows if share >= 1 else rows.where(h <= F.lit(min(2**63 - 1, int(share * 2**64) - 2**63)))
+    others = [F.min(c).alias(c) for c in rows.columns if c != key]
+    once = few.groupBy(key).agg(*others) if others else few.distinct()
+    return once.orderBy(h, key).limit(most)
+
+
 def ascii_lower(col: Column) -> Column:
     """Lower-case A-Z only. Pure ASCII text takes the byte-wise path of lower()."""
     return F.when(F.length(col) == F.octet_length(col), F.lower(col)).otherwise(

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from halo.llm.common import ASCII_LOWER, ASCII_UPPER
+from halo.llm.common import ASCII_LOWER, ASCII_UPPER, hash_sample
 
 SAMPLE = 20_000
 # Words of hosts that the default labels block.
@@ -203,8 +203,8 @@ def seed_label(url: Column) -> Column:
 
 def labelled_sample(pages: DataFrame, label: Column, url_col: str = "url", most: int = SAMPLE) -> tuple[list[str], list[int]]:
     """At most `most` distinct labelled URLs, those with the smallest hash."""
-    rows = pages.select(F.col(url_col).cast("string").alias("u"), label.alias("y")).where("u is not null and y is not null").distinct()
-    got = rows.orderBy(F.xxhash64("u"), "u").limit(most).collect()
+    rows = pages.select(F.col(url_col).cast("string").alias("u"), label.alias("y")).where("u is not null and y is not null")
+    got = hash_sample(rows, "u", most).collect()
     return [r.u for r in got], [r.y for r in got]
 
 
