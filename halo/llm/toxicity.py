@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from halo.llm.common import hash_sample
 from halo.llm.tokenise import _shared
 
 PER_CLASS = (1600, 800)  # clean, toxic
@@ -161,10 +162,11 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
 def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: tuple[int, int] = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[str], list[int]]:
     """At most `per_class` labelled texts of each class, from rows whose id `allowed` admits."""
     rows = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y")).where(F.col("id").isNotNull() & allowed)
-    picked = [rows.where(F.col("y") == c).orderBy(F.xxhash64("id"), "id").limit(per_class[c]) for c in (0, 1)]
+    picked = [hash_sample(rows.where(F.col("y") == c), "id", per_class[c]) for c in (0, 1)]
     chosen = picked[0].unionByName(picked[1]).groupBy("id").agg(F.max("y").alias("y"))
     found = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "id").where(F.length("text") > 0)
-    pairs = sorted((r.id, r.text, r.y) for r in found.collect())
+    once = found.groupBy("id").agg(F.min("text").alias("text"), F.max("y").alias("y"))  # an id may repeat without bound
+    pairs = sorted((r.id, r.text, r.y) for r in once.collect())
     return [t for _, t, _ in pairs], [y for _, _, y in pairs]
 
 
