@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from halo.llm.common import scratch_root, stash
+from halo.llm.common import hash_sample, scratch_root, stash
 from halo.llm.tokenise import _shared
 
 SAMPLE = 4000
@@ -189,11 +189,12 @@ def classify(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", sa
     counted = [(r.votes, r.n) for r in cast.groupBy("votes").agg(F.count(F.lit(1)).alias("n")).collect()]
     patterns = np.array([[int(c) for c in v] for v, _ in counted], np.int64).reshape(len(counted), len(LABELLERS))
     labels = fit_labels(patterns, np.array([n for _, n in counted], np.float64)) if counted else LabelModel(0.5, np.full((len(LABELLERS), 2, 3), 1 / 3))
-    chosen = cast.where("doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).select(F.col("doc_id").alias("id"), "votes").distinct()
-    texts = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "id").collect()
-    texts = sorted(texts, key=lambda r: (r.id, r.votes, r.text or ""))
-    soft = labels.posterior(np.array([[int(c) for c in r.votes] for r in texts], np.int64).reshape(len(texts), len(LABELLERS)))
-    scorer = train_scorer([r.text or "" for r in texts], soft)
+    chosen = hash_sample(cast.where("doc_id is not null").select(F.col("doc_id").alias("id")), "id", sample)
+    texts = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "id")
+    once = texts.groupBy("id").agg(F.min("text").alias("text")).collect()  # an id may repeat without bound
+    learn = [r.text for r in sorted(once)]
+    soft = labels.posterior(np.array([votes(statistics(t)) for t in learn], np.int64).reshape(len(learn), len(LABELLERS)))
+    scorer = train_scorer([t or "" for t in learn], soft)
     weight, bias = scorer.weight.astype(np.float32), scorer.bias
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
