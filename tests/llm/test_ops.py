@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 public_tokenizers = pytest.importorskip("public_tokenizers")
 
 from halo.llm import exact_dedup, mixing, near_dedup, packing, quality, queries, rans, sharding, token_output, topk_search, toxicity, url_filter  # noqa: E402
+from halo.llm.common import hash_sample  # noqa: E402
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 FOLD = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -313,6 +314,21 @@ def python_judge(u):
     return host, path, best
 
 
+def test_hash_sample_equals_a_full_sort(spark, none):
+    rows = spark.range(30_000).selectExpr("if(id % 3 = 0, 7, id % 9000) AS k", "id AS v")
+    for most in (1, 500, 20_000):
+        want = rows.groupBy("k").agg(F.min("v").alias("v")).orderBy(F.xxhash64("k"), "k").limit(most)
+        assert hash_sample(rows, "k", most).collect() == want.collect()
+    assert hash_sample(none.select("doc_id"), "doc_id", 5).count() == 0
+
+
+def test_learning_takes_one_text_of_a_repeated_id(spark):
+    docs = spark.createDataFrame([(k % 4, f"text {k}") for k in range(400)], "doc_id bigint, text string")
+    labels = spark.createDataFrame([(k % 4, k % 2) for k in range(400)], "doc_id bigint, toxic int")
+    texts, marks = toxicity.training_sample(docs, labels, F.lit(True))
+    assert (texts, marks) == (["text 0", "text 1", "text 10", "text 103"], [0, 1, 0, 1])
+
+
 def test_url_filter(spark):
     pages = spark.createDataFrame([(k, u, "x") for k, u in enumerate(URLS)], "page_id bigint, url string, rule string")
     train = [f"http://{h}.net/{k}" for k in range(40) for h in ("good", "fine", "cheap-pills", "casino")]
