@@ -21,6 +21,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 import numpy as np
@@ -96,6 +97,30 @@ class SubwordModel:
         return 1.0 / (1.0 + np.exp(-np.clip(out, -60, 60)))
 
 
+class Segments:
+    """Sums of values that share a key, by one sort ahead of many uses."""
+
+    def __init__(self, keys: np.ndarray, picks: np.ndarray, size: int):
+        order = np.argsort(keys, kind="stable")
+        ordered = keys[order]
+        self.starts = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
+        self.keys, self.picks, self.size = ordered[self.starts], picks[order], size
+
+    def sums(self, values: np.ndarray) -> np.ndarray:
+        out = np.zeros(self.size)
+        out[self.keys] = np.add.reduceat(values.take(self.picks), self.starts)
+        return out
+
+
+def adam(value: np.ndarray, gradient: np.ndarray, m: np.ndarray, v: np.ndarray, t: int, rate: float, floor: float) -> None:
+    """Step t of Adam, in place."""
+    m *= 0.9
+    m += 0.1 * gradient
+    v *= 0.98
+    v += 0.02 * gradient * gradient
+    value -= rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.98**t)) + floor)
+
+
 def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int = DIM, warm: int = 30, steps: int = 60, rate: float = 0.3, decay: float = 1e-6, easy: float = 0.2, floor: float = 1e-7, spread: float = 0.01, seed: int = 7) -> SubwordModel:
     """Fit embeddings, softmax and bias together."""
     y_all = np.asarray(labels)
@@ -118,17 +143,26 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
     whose, where = ngram_buckets(list(vocabulary), buckets)
     grams = np.maximum(np.bincount(whose, minlength=len(vocabulary)), 1).astype(np.float64)
     rng = np.random.default_rng(seed)
-    embed = rng.normal(0, spread, (buckets, dim))
+    words_of_grams, grams_of_words = Segments(whose, where, len(vocabulary)), Segments(where, whose, buckets)
+    passages_of_tokens, tokens_of_passages = Segments(passage, token, len(size)), Segments(token, passage, len(vocabulary))
+    embed = np.ascontiguousarray(rng.normal(0, spread, (buckets, dim)).T)  # component x bucket
     soft = rng.normal(0, 0.5, (dim, 2))
     bias = np.zeros(2)
-    moments = [(np.zeros_like(p), np.zeros_like(p)) for p in (embed, soft, bias)]
+    moments = [(np.zeros_like(p), np.zeros_like(p)) for p in (soft, bias)]
+    embed_m, embed_v = np.zeros_like(embed), np.zeros_like(embed)
+
+    def forward(k: int) -> np.ndarray:
+        return passages_of_tokens.sums(words_of_grams.sums(embed[k]) / grams) / PASSAGE
+
+    def backward(k: int, g: np.ndarray, t: int, now: float) -> None:
+        g_embed = grams_of_words.sums(tokens_of_passages.sums(g) / grams) + decay * embed[k]
+        adam(embed[k], g_embed, embed_m[k], embed_v[k], t, now, floor)
+
+    pool = ThreadPoolExecutor(dim)  # components do not meet but in the softmax
     y = y_all[doc]
     doc_words = np.bincount(doc, size, len(texts))
-    best = None
     for t in range(1, warm + steps + 1):
-        word_vec = np.stack([np.bincount(whose, embed[where, k], len(vocabulary)) for k in range(dim)], 1) / grams[:, None]
-        sums = np.stack([np.bincount(passage, word_vec[token, k], len(size)) for k in range(dim)], 1)
-        mean = sums / PASSAGE
+        mean = np.stack(list(pool.map(forward, range(dim))), 1)
         if t <= warm:  # every passage, so that a text weighs one
             weight = size / doc_words[doc]
         else:  # the most toxic passage of each text
@@ -146,17 +180,12 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
         p[np.arange(len(y)), y] -= 1
         p *= weight[:, None]
         g_soft, g_bias, g_mean = mean.T @ p, p.sum(axis=0), (p @ soft.T) / PASSAGE
-        g_word = np.stack([np.bincount(token, g_mean[passage, k], len(vocabulary)) for k in range(dim)], 1) / grams[:, None]
-        g_embed = np.stack([np.bincount(where, g_word[whose, k], buckets) for k in range(dim)], 1) + decay * embed
-        for (m, v), p_, g in zip(moments, (embed, soft, bias), (g_embed, g_soft, g_bias)):
-            m *= 0.9
-            m += 0.1 * g
-            v *= 0.98
-            v += 0.02 * g * g
-            p_ -= rate / (1 + 3 * t / (warm + steps)) * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.98**t)) + floor)
-        best = (embed, soft, bias)
-    embed, soft, bias = best
-    return SubwordModel(embed @ (soft[:, 1] - soft[:, 0]), float(bias[1] - bias[0]))
+        now = rate / (1 + 3 * t / (warm + steps))
+        list(pool.map(lambda k: backward(k, np.ascontiguousarray(g_mean[:, k]), t, now), range(dim)))
+        for (m, v), value, g in zip(moments, (soft, bias), (g_soft, g_bias)):
+            adam(value, g, m, v, t, now, floor)
+    pool.shutdown()
+    return SubwordModel((soft[:, 1] - soft[:, 0]) @ embed, float(bias[1] - bias[0]))
 
 
 def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: tuple[int, int] = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[str], list[int]]:
