@@ -187,19 +187,21 @@ def start_term(model: Process, first: np.ndarray, latent: bool = False) -> float
     return float(-0.5 * np.linalg.slogdet(gamma)[1] - 0.5 * z @ np.linalg.solve(gamma, z) - 0.5 * p * d * math.log(2 * math.pi))
 
 
-def unconditional_fit(x: np.ndarray, p: int, steps: int = 200, latent: bool = False) -> tuple[Process, float]:
-    """Small series on one machine: numeric gradient ascent on conditional plus stationary start term."""
-    d = x.shape[1]
-    y, z = x[p:], np.hstack([x[p - k : len(x) - k] for k in range(1, p + 1)])
-    theta = np.linalg.lstsq(z, y, rcond=None)[0].T
+def unconditional_fit(m: np.ndarray, n: int, first: np.ndarray, steps: int = 200, latent: bool = False) -> tuple[Process, float]:
+    """Numeric gradient ascent on conditional plus stationary start term, from the lag Gram matrices of all terms and the first p values."""
+    p, d = m.shape[0] - 1, m.shape[2]
+    z, yz = stacked_cov(m, n), np.hstack([m[0, b] for b in range(1, p + 1)]) / n
+    theta = newton(m, n)
+
+    def spread(th):
+        return m[0, 0] / n - th @ yz.T - yz @ th.T + th @ z @ th.T
 
     def value(th):
-        r = y - z @ th.T
-        s = r.T @ r / len(r) + 1e-12 * np.eye(d)
-        m = Process(a=[th[:, k * d : (k + 1) * d] for k in range(p)], sigma=s)
-        if not m.is_causal():
+        s = spread(th) + 1e-12 * np.eye(d)
+        model = Process(a=[th[:, k * d : (k + 1) * d] for k in range(p)], sigma=s)
+        if not model.is_causal():
             return -np.inf
-        return -0.5 * len(r) * (np.linalg.slogdet(s)[1] + d + d * math.log(2 * math.pi)) + start_term(m, x[:p], latent)
+        return -0.5 * n * (np.linalg.slogdet(s)[1] + d + d * math.log(2 * math.pi)) + start_term(model, first, latent)
 
     now, size = value(theta), 0.1
     for _ in range(steps):
@@ -214,8 +216,7 @@ def unconditional_fit(x: np.ndarray, p: int, steps: int = 200, latent: bool = Fa
         theta, now, size = (trial, new, size * 1.2) if new > now else (theta, now, size / 2)
         if size < 1e-9:
             break
-    r = y - z @ theta.T
-    return Process(a=[theta[:, k * d : (k + 1) * d] for k in range(p)], sigma=r.T @ r / len(r)), now
+    return Process(a=[theta[:, k * d : (k + 1) * d] for k in range(p)], sigma=spread(theta)), now
 
 
 def arma_css(x: np.ndarray, p: int, q: int, start: Process, steps: int = 100) -> Process:

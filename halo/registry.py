@@ -548,12 +548,12 @@ def _(spark, d):
 
 @query("unconditional_fit")
 def _(spark, d):
-    rows = series.orders(spark, d, 0).where("idx < 50").orderBy("idx").collect()
-    x = np.array([[float(r.v)] for r in rows])
-    x -= x.mean()
-    cond = np.linalg.lstsq(x[:-1], x[1:], rcond=None)[0][0, 0]
-    m, ll = likelihood.unconditional_fit(x, 1)
-    return spark.createDataFrame([("conditional", float(cond)), ("unconditional", float(m.a[0][0, 0])), ("loglik", float(ll))], "name string, value double")
+    wide = series.orders(spark, d, 0).select("idx", F.array(F.col("v").cast("double")).alias("x"))
+    x = moments.center(wide, np.array([wide.agg(F.avg(F.col("x")[0])).head()[0]]))
+    m, n = moments.gram_matrix(moments.lag_gram(lay.time_blocks(x, 128, 1, 0), 1, 1), 1, 1)
+    first = np.array([r.x for r in x.orderBy("idx").limit(1).collect()])
+    model, ll = likelihood.unconditional_fit(m, n, first)
+    return spark.createDataFrame([("conditional", float(likelihood.newton(m, n)[0, 0])), ("unconditional", float(model.a[0][0, 0])), ("loglik", float(ll))], "name string, value double")
 
 
 @query("banded_fit_suppliers")

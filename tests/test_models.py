@@ -107,3 +107,43 @@ def test_orders_and_serial_forecast():
     f, got = arma_serial(simulate(e, m), m)
     assert np.allclose(got[50:], e[50:], atol=1e-6)
     assert sorted(linalg.reverse_breadth_first([{1}, {0, 2}, {1}])) == [0, 1, 2]
+
+
+def ar1_by_hand(x):
+    """Conditional and unconditional coefficient of a centred series and the likelihood, without Gram matrices or blocks."""
+
+    def value(a):
+        r = x[1:] - a * x[:-1]
+        s = r @ r / len(r)
+        g = s / (1 - a * a)
+        return -0.5 * len(r) * (np.log(s) + 1 + np.log(2 * np.pi)) - 0.5 * (np.log(g) + x[0] ** 2 / g + np.log(2 * np.pi))
+
+    lo, hi = -0.99, 0.99
+    for _ in range(200):
+        a, b = lo + (hi - lo) / 3, hi - (hi - lo) / 3
+        lo, hi = (a, hi) if value(a) < value(b) else (lo, b)
+    return x[1:] @ x[:-1] / (x[:-1] @ x[:-1]), (lo + hi) / 2, value((lo + hi) / 2)
+
+
+def test_unconditional_fit_uses_every_day(spark, tiny):
+    from halo import registry, series
+
+    x = np.array([r.v for r in series.orders(spark, tiny, 0).orderBy("idx").collect()], float)
+    got = {r.name: r.value for r in registry.queries()["unconditional_fit"](spark, tiny).collect()}
+    cond, uncond, ll = ar1_by_hand(x - x.mean())
+    assert len(x) == series.N_O and abs(got["conditional"] - cond) < 1e-9
+    assert abs(got["unconditional"] - uncond) < 1e-5 and abs(got["loglik"] - ll) < 1e-4
+
+
+def test_unconditional_fit_of_a_short_series(spark, tiny):
+    from halo import series
+
+    e = np.array([r.v for r in series.events(spark, tiny).where("dim = 0 and idx < 70").orderBy("idx").collect()], float)
+    x = np.array([sum(e[t - k] / 2**k for k in range(21)) for t in range(20, 70)])
+    x -= x.mean()
+    y, z = x[1:], x[:-1]
+    m = np.array([[y @ y, y @ z], [z @ y, z @ z]]).reshape(2, 2, 1, 1)
+    model, ll = likelihood.unconditional_fit(m, 49, x[:1, None])
+    cond, uncond, want = ar1_by_hand(x)
+    assert len(x) == 50 and abs(model.a[0][0, 0] - uncond) < 1e-4 and abs(ll - want) < 1e-6
+    assert abs(cond - uncond) > 1e-5 and abs(likelihood.newton(m, 49)[0, 0] - cond) < 1e-9
