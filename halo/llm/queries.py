@@ -43,8 +43,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = _read(spark, sf_dir, "pages")
-    urls, marks = url_filter.labelled_sample(pages, url_filter.seed_label(F.col("url")))
-    return url_filter.judge(pages, URL_RULES, url_filter.UrlModel.train(urls, marks))
+    label = url_filter.seed_label(F.col("url"))
+    counts = url_filter.corpus_counts(pages, label, scratch_root(spark))
+    model = url_filter.UrlModel.train_on_corpus(url_filter.sample_rows(pages, label), counts)
+    return url_filter.judge(pages, URL_RULES, model, counts=counts)
 
 
 def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,9 +2,10 @@
 
 Features of a URL: lengths, depth, shares of digits and hyphens, character entropy, parameter counts,
 and statistics of its host's suffixes (block rate among the labelled URLs, smoothed, out of fold while
-learning). Trees are grown on quantile bins by Newton gain with logistic loss. Labels come from a column
-expression; the default marks hosts that hold one of SEED_TERMS, a blocklist of words. Learning uses a
-bounded sample, SAMPLE distinct URLs with the smallest hash; every URL is judged.
+learning). Suffixes are counted over all distinct labelled URLs and joined to the pages. Trees are grown on
+quantile bins by Newton gain with logistic loss, on a bounded sample: SAMPLE distinct URLs with the smallest
+hash. Labels come from a column expression; the default marks hosts that hold one of SEED_TERMS, a blocklist
+of words. Every URL is judged.
 
 Defined results: a null URL, or one without "://", has an empty host and path, no rule, and the score
 of an empty URL; rows that repeat a page are judged each; with one class only among the labels every
@@ -23,9 +24,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from halo.llm.common import ASCII_LOWER, ASCII_UPPER, hash_sample
+from halo.llm.common import ASCII_LOWER, ASCII_UPPER, hash_sample, stash
 
 SAMPLE = 20_000
+HOT = 1000  # keys of more than 1 / HOT of a join's rows are broadcast: fewer than HOT keys
+FOLDS = ("b0", "s0", "b1", "s1")  # blocked and seen URLs of both folds
+LEVELS = [f"{c}_{k}" for k in (1, 2, 3) for c in FOLDS]
 # Words of hosts that the default labels block.
 SEED_TERMS = ("adult", "ads", "bets", "casino", "cheap", "malware", "phish", "pills", "porn", "spam", "track", "viagra", "warez", "xxx")
 
@@ -107,6 +111,71 @@ class SuffixStats:
         return out
 
 
+def suffix_columns(labels: np.ndarray, blocked: np.ndarray, seen: np.ndarray, prior: float, strength: float = 4.0) -> np.ndarray:
+    """SuffixStats.columns from counts (row, suffix length) of hosts with `labels` labels."""
+    has = np.arange(1, 4) <= labels[:, None]
+    rates = np.where(has, (blocked + strength * prior) / (seen + strength), prior)
+    deepest = seen[np.arange(len(seen)), np.clip(labels, 1, 3) - 1]
+    return np.hstack([rates, np.log1p(deepest)[:, None]])
+
+
+def suffix_key(url: Column) -> Column:
+    """The last three labels of the host: every suffix that is counted follows from it."""
+    return F.substring_index(host_path(url)[0], ".", -3)
+
+
+def fold_of(url: Column) -> Column:
+    return F.pmod(F.crc32(url.cast("binary")), F.lit(2))
+
+
+def attach(rows: DataFrame, counts: DataFrame, key: str) -> DataFrame:
+    """`rows` with the columns of `counts` by `key`, null where it has none; `parts` counts the rows that a key meets."""
+    total = counts.agg(F.sum("parts")).first()[0] or 0
+    hot = F.col("parts") > total / HOT
+    few = F.broadcast(counts.where(hot).drop("parts"))
+    rest = counts.where(~hot).drop("parts").hint("merge")
+    met = rows.join(few, key)
+    return met.unionByName(rows.join(few.select(key), key, "left_anti").join(rest, key, "left").select(met.columns))
+
+
+@dataclass
+class CorpusCounts:
+    """Counts of all distinct labelled URLs: `rows` holds those of the three suffixes of every suffix_key, `total` the sums by FOLDS."""
+
+    rows: DataFrame
+    total: np.ndarray
+
+    def prior(self, folds: tuple[int, ...] = (0, 1)) -> float:
+        return float(sum(self.total[2 * f] for f in folds) / max(sum(self.total[2 * f + 1] for f in folds), 1))
+
+    def columns(self, keys: list[str], counts: np.ndarray, folds: tuple[int, ...] = (0, 1)) -> np.ndarray:
+        """Features from rows of LEVELS, by the URLs of `folds`."""
+        if np.isnan(counts).any():
+            raise ValueError("a host has no counts: they must come from the pages that are judged")
+        by_level = counts.reshape(len(counts), 3, 4)
+        blocked, seen = (sum(by_level[:, :, 2 * f + k] for f in folds) for k in (0, 1))
+        return suffix_columns(np.array([k.count(".") + 1 for k in keys], int), blocked, seen, self.prior(folds))
+
+
+def corpus_counts(pages: DataFrame, label: Column, root: str, url_col: str = "url") -> CorpusCounts:
+    """Each distinct URL counts once, with its smallest label; a null URL or label counts nowhere. Longer suffixes are summed into shorter ones."""
+    rows = pages.select(F.col(url_col).cast("string").alias("u"), label.cast("double").alias("y"))
+    once = rows.groupBy("u").agg(F.min("y").alias("y"), F.count(F.lit(1)).alias("parts"))
+    of = [F.when(F.col("u").isNotNull() & (fold_of(F.col("u")) == f), F.col("y")) for f in (0, 1)]
+    sums = [e.cast("double").alias(c) for c, e in zip(FOLDS, (F.coalesce(F.sum(of[0]), F.lit(0.0)), F.count(of[0]), F.coalesce(F.sum(of[1]), F.lit(0.0)), F.count(of[1])))]
+    level = {3: stash(once.groupBy(suffix_key(F.col("u")).alias("key_3")).agg(F.sum("parts").alias("parts"), *sums), f"{root}/suffix-3")}
+    for k in (2, 1):
+        shorter = F.substring_index(f"key_{k + 1}", ".", -k).alias(f"key_{k}")
+        level[k] = stash(level[k + 1].groupBy(shorter).agg(F.count(F.lit(1)).alias("parts"), *[F.sum(c).alias(c) for c in FOLDS]), f"{root}/suffix-{k}")
+    named = {k: t.withColumnsRenamed({c: f"{c}_{k}" for c in FOLDS}) for k, t in level.items()}
+    out = named[1]
+    for k in (2, 3):
+        longer = named[k].withColumn(f"key_{k - 1}", F.substring_index(f"key_{k}", ".", 1 - k))
+        out = stash(attach(longer, out, f"key_{k - 1}").drop(f"key_{k - 1}"), f"{root}/suffixes-to-{k}")
+    total = level[1].agg(*[F.sum(c) for c in FOLDS]).first()
+    return CorpusCounts(out.withColumnRenamed("key_3", "suffix_key"), np.array([x or 0.0 for x in total]))
+
+
 class BoostedTrees:
     """Binary logistic gradient boosting on quantile bins, depth-limited trees as flat arrays."""
 
@@ -189,11 +258,27 @@ class UrlModel:
             out_of_fold[half == fold] = other.columns([k for k, m in zip(keys, half) if m == fold])
         return UrlModel(SuffixStats.fit(keys, y), BoostedTrees().fit(np.hstack([lexical, out_of_fold]), y))
 
-    def score(self, urls: list[str | None]) -> np.ndarray:
+    @staticmethod
+    def train_on_corpus(sample: DataFrame, counts: CorpusCounts) -> "UrlModel":
+        """Trees from a bounded `sample` (u, y); a URL's suffix features come from the fold of the corpus that it is not in."""
+        named = sample.withColumn("suffix_key", suffix_key(F.col("u"))).withColumn("fold", fold_of(F.col("u")))
+        rows = attach(named, counts.rows, "suffix_key").orderBy(F.xxhash64("u"), "u").collect()
+        if not rows:
+            return UrlModel.train([], [])
+        lexical, fold = np.array([features(r.u)[0] for r in rows]), np.array([r.fold for r in rows])
+        keys, levels = np.array([r.suffix_key for r in rows], object), np.array([[r[c] for c in LEVELS] for r in rows], np.float64)
+        suffix = np.empty((len(rows), 4))
+        for f in (0, 1):
+            suffix[fold == f] = counts.columns(keys[fold == f].tolist(), levels[fold == f], (1 - f,))
+        y = np.array([r.y for r in rows], np.float64)
+        return UrlModel(SuffixStats(counts.prior()), BoostedTrees().fit(np.hstack([lexical, suffix]), y))
+
+    def score(self, urls: list[str | None], suffix: np.ndarray | None = None) -> np.ndarray:
+        """`suffix`: the suffix features where they come from CorpusCounts."""
         rows = [features(u) for u in urls]
         if not rows:
             return np.zeros(0)
-        return self.trees.predict(np.hstack([np.array([f for f, _ in rows]), self.stats.columns([k for _, k in rows])]))
+        return self.trees.predict(np.hstack([np.array([f for f, _ in rows]), self.stats.columns([k for _, k in rows]) if suffix is None else suffix]))
 
 
 def seed_label(url: Column) -> Column:
@@ -201,21 +286,33 @@ def seed_label(url: Column) -> Column:
     return host.rlike("|".join(SEED_TERMS)).cast("int")
 
 
-def labelled_sample(pages: DataFrame, label: Column, url_col: str = "url", most: int = SAMPLE) -> tuple[list[str], list[int]]:
-    """At most `most` distinct labelled URLs, those with the smallest hash."""
+def sample_rows(pages: DataFrame, label: Column, url_col: str = "url", most: int = SAMPLE) -> DataFrame:
+    """At most `most` distinct labelled URLs (u, y), those with the smallest hash."""
     rows = pages.select(F.col(url_col).cast("string").alias("u"), label.alias("y")).where("u is not null and y is not null")
-    got = hash_sample(rows, "u", most).collect()
+    return hash_sample(rows, "u", most)
+
+
+def labelled_sample(pages: DataFrame, label: Column, url_col: str = "url", most: int = SAMPLE) -> tuple[list[str], list[int]]:
+    got = sample_rows(pages, label, url_col, most).collect()
     return [r.u for r in got], [r.y for r in got]
 
 
-def judge(pages: DataFrame, rules: list[tuple[str, str]], model: UrlModel, url_col: str = "url", id_col: str = "page_id", threshold: float = 0.5) -> DataFrame:
-    """Per row: page_id, host, path, rule, verdict, score (that of the trees)."""
+def judge(pages: DataFrame, rules: list[tuple[str, str]], model: UrlModel, url_col: str = "url", id_col: str = "page_id", threshold: float = 0.5, counts: CorpusCounts | None = None) -> DataFrame:
+    """Per row: page_id, host, path, rule, verdict, score (that of the trees). `counts` are those of the same pages, for a model trained on them."""
+    columns = None if counts is None else CorpusCounts(None, counts.total).columns  # workers get no DataFrame
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(model.score(batch.column(1).to_pylist()), pa.float64())], ["page_id", "url", "score"])
-
-    scored = pages.select(F.col(id_col).cast("bigint").alias("page_id"), F.col(url_col).cast("string").alias("url")).mapInArrow(run, "page_id bigint, url string, score double")
+            suffix = None
+            if columns is not None:
+                levels = [batch.column(c).to_numpy(zero_copy_only=False).astype(np.float64) for c in LEVELS]
+                suffix = columns(batch.column("suffix_key").to_pylist(), np.stack(levels, 1))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(model.score(batch.column(1).to_pylist(), suffix), pa.float64())], ["page_id", "url", "score"])
+
+    given = pages.select(F.col(id_col).cast("bigint").alias("page_id"), F.col(url_col).cast("string").alias("url"))
+    if counts is not None:
+        given = attach(given.withColumn("suffix_key", suffix_key(F.col("url"))), counts.rows, "suffix_key").select("page_id", "url", "suffix_key", *LEVELS)
+    scored = given.mapInArrow(run, "page_id bigint, url string, score double")
     host, path = host_path(F.col("url"))
     named = scored.withColumn("host", host).withColumn("path", path).withColumn("rule", rule_match(F.col("host"), F.col("path"), rules))
     by_model = F.when(F.col("score") >= threshold, F.lit("block")).otherwise(F.lit("allow"))

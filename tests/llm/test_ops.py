@@ -374,3 +374,40 @@ def test_pipeline_keeps_columns_and_decisions(spark, tiny):
             assert docs.select("doc_id").distinct().count() == docs.count()
     assert sizes[1] <= sizes[0] and sizes[2] <= sizes[1] and sizes[3] <= sizes[2]
     check_packing(docs.collect(), 2048)
+
+
+@pytest.mark.parametrize("hot", [1000, 3])
+def test_url_suffixes_are_counted_over_the_whole_table(spark, tmp_path, monkeypatch, hot):
+    """A blocked host outside the learning sample still has its counts, and every count equals a loop over all URLs."""
+    monkeypatch.setattr(url_filter, "HOT", hot)  # 3: most keys meet by a shuffle
+    rows = [(k, f"http://{'casino' if k % 2 else 'acsino'}{k % 100 // 2:02}.net/{k:04}") for k in range(1200)]
+    rows += [(2000 + k, u) for k, u in enumerate(URLS)] + [(3000 + k, "http://a.b.casino.com/q") for k in range(50)]
+    pages = spark.createDataFrame(rows, "page_id bigint, url string")
+    label = url_filter.seed_label(F.col("url"))
+    counts = url_filter.corpus_counts(pages, label, str(tmp_path))
+    seen, blocked = collections.Counter(), collections.Counter()
+    for u in {u for _, u in rows if u is not None}:
+        host, _, _ = python_judge(u)
+        for s in url_filter.suffixes(host):
+            seen[s] += 1
+            blocked[s] += any(w in host for w in url_filter.SEED_TERMS)
+    got = counts.rows.collect()
+    assert len({r.suffix_key for r in got}) == len(got)
+    for r in got:
+        for k, s in enumerate(url_filter.suffixes(r.suffix_key), 1):
+            assert (r[f"b0_{k}"] + r[f"b1_{k}"], r[f"s0_{k}"] + r[f"s1_{k}"]) == (blocked[s], seen[s]), s
+    assert counts.total[1] + counts.total[3] == len({u for _, u in rows if u is not None})
+    sample = url_filter.sample_rows(pages, label, most=80)
+    model = url_filter.UrlModel.train_on_corpus(sample, counts)
+    learnt = {python_judge(r.u)[0] for r in sample.collect()}
+    out = url_filter.judge(pages, [], model, counts=counts).collect()
+    assert collections.Counter(r.page_id for r in out) == collections.Counter(k for k, _ in rows)
+    unseen = [r for r in out if r.page_id < 1200 and r.host not in learnt]
+    assert len(unseen) > 100 and all((r.verdict == "block") == ("casino" in r.host) for r in unseen)
+    stats = url_filter.SuffixStats(counts.prior(), dict(blocked), dict(seen))
+    key = [url_filter.suffixes(r.suffix_key) for r in got]
+    levels = np.array([[r[c] for c in url_filter.LEVELS] for r in got])
+    assert np.allclose(counts.columns([r.suffix_key for r in got], levels), stats.columns(key))
+    none = pages.limit(0)
+    empty = url_filter.corpus_counts(none, label, str(tmp_path / "none"))
+    assert url_filter.judge(none, [], url_filter.UrlModel.train_on_corpus(url_filter.sample_rows(none, label), empty), counts=empty).count() == 0
