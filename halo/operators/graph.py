@@ -2,11 +2,21 @@
 
 from __future__ import annotations
 
+import math
+from collections.abc import Callable
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import _parse_datatype_string
 
 from halo.models.process import uniform
 from halo.operators.blocks import HaloTooShort, time_blocks
+from halo.operators.kernels import check_reach as check_lag
+
+Kernel = Callable[[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray], dict[str, np.ndarray]]
 
 
 def assign(vertices: DataFrame, policy: str, n: int, edges: DataFrame | None = None, rounds: int = 3) -> DataFrame:
@@ -60,18 +70,88 @@ def check_reach(hops: int, halo: int) -> None:
         raise HaloTooShort(f"kernel reaches {hops} hops, halo holds {halo}")
 
 
-def pair_sums(cross: DataFrame, edges_in: DataFrame, lags: int, reach: int = 1) -> DataFrame:
-    """Sums of x_t^v x_{t+h}^u over edges v -> u (hop 1) and over v itself (hop 0): h, hop, n, s."""
-    check_reach(1, reach)
+def hop_pairs(sources: DataFrame, edges_in: DataFrame, hops: int) -> DataFrame:
+    """gblk, a, b, hop: what each of `sources` (gblk, a) reaches within `hops` directed edges of its block, at its least distance."""
+    nxt = edges_in.select("gblk", F.col("src").alias("b"), F.col("dst").alias("c")).distinct()
+    seen = sources.select("gblk", "a", F.col("a").alias("b"), F.lit(0).alias("hop"))
+    front = seen
+    for k in range(1, hops + 1):
+        reached = front.join(nxt, ["gblk", "b"]).select("gblk", "a", F.col("c").alias("b")).distinct()
+        front = reached.join(seen.select("gblk", "a", "b"), ["gblk", "a", "b"], "left_anti").withColumn("hop", F.lit(k))
+        seen = seen.unionByName(front)
+    return seen
+
+
+def pair_sums(cross: DataFrame, edges_in: DataFrame, lags: int, reach: int = 1, hops: int = 1) -> DataFrame:
+    """Sums of x_t^v x_{t+h}^u over vertices u that are 0..hops directed edges from v: h, hop, n, s."""
+    check_reach(hops, reach)
     core = cross.where("t_core and g_core").select("tblk", "gblk", F.col("v").alias("a"), "idx", F.col("x").alias("xa"))
-    near = edges_in.select("gblk", F.col("src").alias("a"), F.col("dst").alias("b"), F.lit(1).alias("hop"))
-    own = core.select("gblk", "a").distinct().select("gblk", "a", F.col("a").alias("b"), F.lit(0).alias("hop"))
-    pairs = core.join(near.unionByName(own), ["gblk", "a"]).withColumn("h", F.explode(F.sequence(F.lit(0), F.lit(lags))))
+    near = hop_pairs(core.select("gblk", "a").distinct(), edges_in, hops)
+    pairs = core.join(near, ["gblk", "a"]).withColumn("h", F.explode(F.sequence(F.lit(0), F.lit(lags))))
     other = cross.select("tblk", "gblk", F.col("v").alias("b"), F.col("idx").alias("j"), F.col("x").alias("xb"))
     got = pairs.withColumn("j", F.col("idx") + F.col("h")).join(other, ["tblk", "gblk", "b", "j"])
     return got.groupBy("h", "hop").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("xa") * F.col("xb")).alias("s"))
 
 
+def map_blocks(cross: DataFrame, edges_in: DataFrame, kernel: Kernel, schema: str, order: tuple[int, int], halo: tuple[int, int]) -> DataFrame:
+    """One call of kernel(v, idx, core, x, dist) for each (time, graph) block; its arrays become rows.
+
+    x[t, k] is the state of v[k] at idx[t], NaN where absent; core marks what the block owns; dist[a, b] is the
+    directed distance where it is at most K and one end is core, else -1. `order` is the kernel's (H, K).
+    """
+    check_lag(order[0], halo[0])
+    check_reach(order[1], halo[1])
+    target = to_arrow_schema(_parse_datatype_string(schema))
+    own = cross.where("g_core").select("gblk", F.col("v").alias("a")).distinct()
+    back = edges_in.select("gblk", F.col("dst").alias("src"), F.col("src").alias("dst"))
+    pairs = hop_pairs(own, edges_in, order[1]).unionByName(hop_pairs(own, back, order[1]).select("gblk", F.col("b").alias("a"), F.col("a").alias("b"), "hop"))
+    tiles = cross.select("tblk", "gblk").distinct().join(pairs, "gblk").withColumnsRenamed({"tblk": "t", "gblk": "g"})
+
+    def run(states: pa.Table, near: pa.Table) -> pa.Table:
+        at, t = states.column("v").to_numpy(), states.column("idx").to_numpy()
+        v, idx = np.unique(at), np.unique(t)
+        place = np.searchsorted(idx, t), np.searchsorted(v, at)
+        x, core, dist = np.full((len(idx), len(v)), np.nan), np.zeros((len(idx), len(v)), bool), np.full((len(v), len(v)), -1)
+        x[place] = states.column("x").to_numpy()
+        core[place] = states.column("t_core").to_numpy(zero_copy_only=False) & states.column("g_core").to_numpy(zero_copy_only=False)
+        a, b, hop = (near.column(c).to_numpy() for c in ("a", "b", "hop"))
+        there = np.isin(a, v) & np.isin(b, v)
+        dist[np.searchsorted(v, a[there]), np.searchsorted(v, b[there])] = hop[there]
+        return pa.table({k: pa.array(c) for k, c in kernel(v, idx, core, x, dist).items()}).cast(target)
+
+    return cross.groupBy("tblk", "gblk").cogroup(tiles.groupBy("t", "g")).applyInArrow(run, schema)
+
+
+def map_reduce(cross: DataFrame, edges_in: DataFrame, kernel: Kernel, schema: str, keys: tuple[str, ...], sums: tuple[str, ...], order: tuple[int, int], halo: tuple[int, int]) -> DataFrame:
+    """Sum of what `kernel` gives over all (time, graph) blocks, by `keys`."""
+    return map_blocks(cross, edges_in, kernel, schema, order, halo).groupBy(*keys).agg(*[F.sum(c).alias(c) for c in sums])
+
+
+def retrospective(cross: DataFrame, edges_in: DataFrame, predict: Callable[[float, np.ndarray], float], halo: tuple[int, int]) -> DataFrame:
+    """Residuals v, idx, r of the (1, 1) network on observed states: x_t^v - predict(x_{t-1}^v, states of its parents at t-1).
+
+    Parents come in the order of their ids. A state without an observed predecessor, or with a parent's missing, has no residual.
+    """
+
+    def kernel(v, idx, core, x, dist):
+        out = {"v": [], "idx": [], "r": []}
+        for t, k in np.argwhere(core):
+            if t == 0 or idx[t] - idx[t - 1] != 1:
+                continue
+            before, parents = x[t - 1, k], x[t - 1, dist[:, k] == 1]
+            if not (np.isnan(before) or np.isnan(parents).any()):
+                out["v"].append(v[k]), out["idx"].append(idx[t]), out["r"].append(x[t, k] - predict(before, parents))
+        return {"v": np.array(out["v"], np.int32), "idx": np.array(out["idx"], np.int64), "r": np.array(out["r"], np.float64)}
+
+    return map_blocks(cross, edges_in, kernel, "v int, idx bigint, r double", (1, 1), halo)
+
+
+def residual_loglik(residuals: DataFrame) -> float:
+    """Gaussian log-likelihood of residuals at their own variance about 0."""
+    n, s = residuals.agg(F.count("r"), F.avg(F.col("r") * F.col("r"))).head()
+    return -0.5 * n * (math.log(2 * math.pi * s) + 1)
+
+
 def line_graph(edges: DataFrame) -> DataFrame:
     """Links become vertices: (a, b) -> (b, c)."""
     first = edges.select(F.col("src").alias("a"), F.col("dst").alias("b"))

@@ -109,6 +109,48 @@ def test_graph_halos_and_conservation(spark, tiny):
         graph.check_step(1.0, 1.0, 2.0)
 
 
+def test_graph_kernels_reach_k_hops(spark, tiny):
+    e, g = registry._graph_blocks(spark, tiny, 2)
+    days = registry.series.nation_days(spark, tiny).where("idx < 90").persist()
+    cross, inner = graph.cross_blocks(days, 40, 1, g).persist(), graph.block_edges(e, g).persist()
+    x = np.zeros((90, 25))
+    for r in days.collect():
+        x[r.idx, r.v] = r.x
+    arcs = {(r.src, r.dst) for r in e.collect()}
+    hop = {(v, v): 0 for v in range(25)}
+    for k in (1, 2):
+        hop.update({(a, c): k for (a, b), h in list(hop.items()) if h == k - 1 for s, c in arcs if s == b and (a, c) not in hop})
+    want = {}
+    for (a, b), k in hop.items():
+        for h in (0, 1):
+            n, s = want.get((h, k), (0, 0.0))
+            want[h, k] = n + 90 - h, s + x[: 90 - h, a] @ x[h:, b]
+    assert {(r.h, r.hop): (r.n, r.s) for r in graph.pair_sums(cross, inner, 1, 2, 2).collect()} == want
+
+    def kernel(v, idx, core, x, dist):
+        out = {k: [] for k in ("h", "hop", "n", "s")}
+        for h in (0, 1):
+            for k in (0, 1, 2):
+                pairs = [x[t, a] * x[t + h, b] for t, a in np.argwhere(core) if t + h < len(idx) for b in np.flatnonzero(dist[a] == k)]
+                out["h"].append(h), out["hop"].append(k), out["n"].append(len(pairs)), out["s"].append(float(sum(pairs)))
+        return out
+
+    got = graph.map_reduce(cross, inner, kernel, "h int, hop int, n bigint, s double", ("h", "hop"), ("n", "s"), (1, 2), (1, 2))
+    assert {(r.h, r.hop): (r.n, r.s) for r in got.collect()} == want
+    for order in ((2, 1), (1, 3)):
+        with pytest.raises(lay.HaloTooShort):
+            graph.map_reduce(cross, inner, kernel, "h int, hop int, n bigint, s double", ("h", "hop"), ("n", "s"), order, (1, 2))
+    with pytest.raises(lay.HaloTooShort):
+        graph.pair_sums(cross, inner, 1, 2, 3)
+    res = graph.retrospective(cross, inner, lambda own, parents: 0.5 * own + 0.25 * parents.sum(), (1, 2))
+    parents = np.zeros((25, 25))
+    for a, b in arcs:
+        parents[a, b] = 1
+    r = x[1:] - 0.5 * x[:-1] - 0.25 * x[:-1] @ parents
+    assert {(q.v, q.idx): q.r for q in res.collect()} == {(v, t + 1): r[t, v] for t in range(89) for v in range(25)}
+    assert abs(graph.residual_loglik(res) + 0.5 * r.size * (np.log(2 * np.pi * (r**2).mean()) + 1)) < 1e-6
+
+
 def test_alignment(spark):
     s = spark.createDataFrame([(0, None), (1, 4), (2, None), (3, None), (9, 10), (10, None)], "idx bigint, v bigint")
     assert [r.v for r in grid.locf(s, 2).orderBy("idx").collect()] == [None, 4, 4, 4, 10, 10]
