@@ -25,11 +25,15 @@ def regular(df: DataFrame, spec: SeriesSpec, dim: Column | None = None, value: C
 
 
 def dense(long: DataFrame, n: int, d: int, fill=0, first: int = 0) -> DataFrame:
-    """Every (idx, dim) of the grid; absent cells get `fill` (None keeps them null)."""
+    """Every (idx, dim) of the grid; absent cells get `fill` (None keeps them null). A row outside the grid raises."""
     spark = long.sparkSession
     cells = spark.range(first, first + n).select(F.col("id").alias("idx"), F.explode(F.sequence(F.lit(0), F.lit(d - 1))).alias("dim"))
     kind = dict(long.dtypes)["v"]
-    out = cells.join(long, ["idx", "dim"], "left")
+    inside = F.col("idx").between(first, first + n - 1) & F.col("dim").between(0, d - 1)
+    wrong = F.format_string(f"outside the grid of {n} steps from {first} and {d} dimensions: idx %s, dim %s", "idx", "dim")
+    # On the keys: the join must evaluate them.
+    placed = long.withColumns({c: F.when(inside, F.col(c)).otherwise(F.raise_error(wrong).cast(dict(long.dtypes)[c])) for c in ("idx", "dim")})
+    out = cells.join(placed, ["idx", "dim"], "left")
     return out if fill is None else out.withColumn("v", F.coalesce("v", F.lit(fill).cast(kind)))
 
 
