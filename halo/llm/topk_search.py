@@ -12,7 +12,8 @@ task; candidates are never shuffled. Each task keeps k rows a query, and a windo
 
 Defined results: vectors that are null, empty or hold null, NaN or infinite components take no part;
 vectors of another length than the query's are not its candidates; rows that share the query's id are
-its own; rows that repeat an id are candidates each; ties go to the smaller id.
+its own; rows that repeat an id are candidates each; ties go to the smaller id. A query id with several
+vectors asks with each different one, and its result is the k best pairs of one of them and a candidate.
 """
 
 from __future__ import annotations
@@ -135,14 +136,14 @@ def top_k(vectors: DataFrame, is_query: Column, k: int, scale: int = 256, id_col
     spark = vectors.sparkSession
     rows = vectors.where(usable(F.col(vec_col)) & F.col(id_col).isNotNull())
     rows = rows.select(F.col(id_col).cast("bigint").alias("vec_id"), scaled(F.col(vec_col), scale).alias("v"), is_query.alias("_query"))
-    asked = rows.where("_query").select("vec_id", "v").dropDuplicates(["vec_id"])
+    asked = rows.where("_query").select("vec_id", "v").dropDuplicates(["vec_id", "v"])
     largest = rows.agg(F.max(F.array_max(F.transform("v", lambda x: F.abs(x)))).alias("m"), F.max(F.size("v")).alias("d"), F.count_if("_query").alias("n")).head()
     parts: list[DataFrame] = []
     if largest.n:
         exact = float(largest.m) ** 2 * largest.d < 2**53
         n_blocks = -(-largest.n // query_block)
         for b in range(n_blocks):
-            block = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(n_blocks)) == b).collect() if n_blocks > 1 else asked.collect()
+            block = asked.where(F.pmod(F.xxhash64("vec_id", "v"), F.lit(n_blocks)) == b).collect() if n_blocks > 1 else asked.collect()
             for d in sorted({len(r.v) for r in block}):
                 same = sorted((r.vec_id, r.v) for r in block if len(r.v) == d)
                 if exact:

@@ -179,6 +179,21 @@ def test_topk_search(spark):
     assert topk_search.top_k(df.limit(0), F.lit(True), 3).count() == 0
 
 
+@pytest.mark.parametrize("block", [2, 4096])
+def test_topk_search_with_every_vector_of_a_repeated_query_id(spark, block):
+    rng = np.random.default_rng(6)
+    rows = [(i % 40, rng.normal(size=6).round(1).tolist()) for i in range(120)] + [(0, [3.0] * 6)] * 2
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    got = collections.defaultdict(list)
+    for r in topk_search.top_k(df, F.col("vec_id") % 10 == 0, 4, query_block=block).orderBy("query_id", "rank").collect():
+        got[r.query_id].append((r.vec_id, r.score))
+    whole = [(i, tuple(np.floor(256 * np.array(v)))) for i, v in rows]
+    for q in (0, 10, 20, 30):
+        asked = {v for i, v in whole if i == q}
+        want = sorted((-int(np.dot(v, w)), i) for v in asked for i, w in whole if i != q)[:4]
+        assert len(asked) > 2 and got[q] == [(i, -s) for s, i in want]
+
+
 def brute_components(texts, ids, w, percent):
     sets = []
     for t in texts:
