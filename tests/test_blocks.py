@@ -157,14 +157,6 @@ def test_alignment(spark):
     assert [r.v for r in grid.linear(s, 2).orderBy("idx").collect()] == [None, 4.0, 4.75, 5.5, 10.0, None]
 
 
-@pytest.mark.parametrize("row", [(4, 0, 1), (-1, 1, 1), (0, 2, 1), (0, -1, 1), (None, 0, 1), (0, None, 1)])
-def test_rows_outside_the_grid_raise(spark, row):
-    cells = [(0, 0, 5), (3, 1, 7)]
-    assert grid.dense(spark.createDataFrame(cells, "idx bigint, dim int, v bigint"), 4, 2).agg(F.sum("v")).head()[0] == 12
-    with pytest.raises(Exception, match="outside the grid"):
-        grid.dense(spark.createDataFrame([*cells, row], "idx bigint, dim int, v bigint"), 4, 2).agg(F.sum("v")).collect()
-
-
 def test_save_and_load_without_exchange(spark):
     lay.save(lay.time_blocks(wide(spark, 64), 16, 2, 2), "halo_saved", 4)
     got = moments.lag_products(lay.load(spark, "halo_saved"), 2, 2)
