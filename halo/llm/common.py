@@ -56,6 +56,14 @@ def ascii_lower(col: Column) -> Column:
     )
 
 
+def fresh_name(taken: list[str], base: str) -> str:
+    """`base`, prefixed until no name of `taken` equals it in any case."""
+    names, out = {n.lower() for n in taken}, f"_{base}"
+    while out.lower() in names:
+        out = f"_{out}"
+    return out
+
+
 def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name).cast("string"), F.lit(""))
 

@@ -31,8 +31,7 @@ def held_out(col):
 
 
 def toxic_model(docs: DataFrame, labels: DataFrame) -> toxicity.SubwordModel:
-    texts, marks = toxicity.training_sample(docs, labels, ~held_out(F.col("id")))
-    return toxicity.train(texts, marks)
+    return toxicity.train_task(toxicity.training_rows(docs, labels, ~held_out(F.col("id"))))
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,8 +9,9 @@ their worst one weighing most. A text is scored the same way: its score is that
 spellings share the n-gram vectors of seen ones.
 
 Learning uses a bounded sample of labelled rows: PER_CLASS texts of each class, those with the smallest
-hash of their id. Everything else reads every row and whole texts. As the softmax is linear in an
-average, a trained model is one number for each n-gram bucket and one bias; that is all tasks receive.
+hash of their id. It runs in one task on an executor, which a lost executor repeats with the same result.
+Everything else reads every row and whole texts. As the softmax is linear in an average, a trained model is
+one number for each n-gram bucket and one bias; that is all the driver and the scoring tasks receive.
 
 Defined results: null and empty texts score as a passage without evidence (the bias alone); rows that
 repeat an id are scored each; without rows of both classes to learn from every score is 0; an empty
@@ -28,8 +29,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
-from halo.llm.common import hash_sample
+from halo.llm.common import fresh_name, hash_sample
 from halo.llm.tokenise import _shared
 
 PER_CLASS = (1600, 800)  # clean, toxic
@@ -104,7 +106,7 @@ class Segments:
         order = np.argsort(keys, kind="stable")
         ordered = keys[order]
         self.starts = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
-        self.keys, self.picks, self.size = ordered[self.starts], picks[order], size
+        self.keys, self.picks, self.size = ordered[self.starts], picks[order].astype(np.int32), size
 
     def sums(self, values: np.ndarray) -> np.ndarray:
         out = np.zeros(self.size)
@@ -188,21 +190,39 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
     return SubwordModel((soft[:, 1] - soft[:, 0]) @ embed, float(bias[1] - bias[0]))
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: tuple[int, int] = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> tuple[list[str], list[int]]:
-    """At most `per_class` labelled texts of each class, from rows whose id `allowed` admits."""
+def training_rows(docs: DataFrame, labels: DataFrame, allowed: Column, per_class: tuple[int, int] = PER_CLASS, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic") -> DataFrame:
+    """At most `per_class` labelled texts of each class (id, text, y), from rows whose id `allowed` admits."""
     rows = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("y")).where(F.col("id").isNotNull() & allowed)
     picked = [hash_sample(rows.where(F.col("y") == c), "id", per_class[c]) for c in (0, 1)]
     chosen = picked[0].unionByName(picked[1]).groupBy("id").agg(F.max("y").alias("y"))
     found = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "id").where(F.length("text") > 0)
-    once = found.groupBy("id").agg(F.min("text").alias("text"), F.max("y").alias("y"))  # an id may repeat without bound
-    pairs = sorted((r.id, r.text, r.y) for r in once.collect())
+    return found.groupBy("id").agg(F.min("text").alias("text"), F.max("y").alias("y"))  # an id may repeat without bound
+
+
+def training_sample(docs: DataFrame, labels: DataFrame, allowed: Column, **how) -> tuple[list[str], list[int]]:
+    """The training rows as lists in order of id, for use outside Spark."""
+    pairs = sorted((r.id, r.text, r.y) for r in training_rows(docs, labels, allowed, **how).collect())
     return [t for _, t, _ in pairs], [y for _, _, y in pairs]
 
 
-def score_documents(docs: DataFrame, model: SubwordModel, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The columns `keep` of `docs` and score, for every row."""
+def train_task(rows: DataFrame) -> SubwordModel:
+    """`train` on a bounded table (id, text, y), in one task; the driver receives the weights only."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _shared("toxic")  # caches of other operators leave this worker
+        pairs = sorted(row for b in batches for row in zip(*(c.to_pylist() for c in b.columns)))
+        model = train([t for _, t, _ in pairs], [y for _, _, y in pairs])
+        yield pa.RecordBatch.from_arrays([pa.array([model.weight.astype("<f4").tobytes()], pa.binary()), pa.array([model.bias], pa.float64())], ["weight", "bias"])
+
+    got = rows.select("id", "text", "y").repartition(1).mapInArrow(run, "weight binary, bias double").head()
+    return train([], []) if got is None else SubwordModel(np.frombuffer(got.weight, "<f4").astype(np.float64), got.bias)
+
+
+def score_documents(docs: DataFrame, model: SubwordModel, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), score_col: str = "score") -> DataFrame:
+    """The columns `keep` of `docs` and `score_col`, for every row. A text among `keep` travels to Python once."""
     weight, bias = model.weight.astype(np.float32), model.bias
     kept = list(keep)
+    at = kept.index(text_col) if text_col in kept and docs.schema[text_col].dataType == StringType() else len(kept)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = SubwordModel(weight.astype(np.float64), bias)
@@ -210,12 +230,12 @@ def score_documents(docs: DataFrame, model: SubwordModel, text_col: str = "text"
         if shared.get("toxic_mark") != mark:
             shared.update(toxic_mark=mark, toxic_words={})
         for batch in batches:
-            texts = batch.column(batch.num_columns - 1)
             for s in range(0, batch.num_rows, 256):
-                part = texts.slice(s, 256).to_pylist()
-                score = own.score(part, shared["toxic_words"])
-                yield pa.RecordBatch.from_arrays([*[c.slice(s, 256) for c in batch.columns[:-1]], pa.array(score, pa.float64())], [*kept, "score"])
-
-    frame = docs.select(*kept, F.col(text_col).cast("string").alias("_text"))
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in frame.schema.fields[:-1])
-    return frame.mapInArrow(run, f"{fields}, score double")
+                part = batch.slice(s, 256)
+                score = own.score(part.column(at).to_pylist(), shared["toxic_words"])
+                yield pa.RecordBatch.from_arrays([*part.columns[: len(kept)], pa.array(score, pa.float64())], [*kept, score_col])
+
+    extra = [] if at < len(kept) else [F.col(text_col).cast("string").alias(fresh_name(kept, "text"))]
+    frame = docs.select(*kept, *extra)
+    schema = StructType([*frame.schema.fields[: len(kept)], StructField(score_col, DoubleType())])
+    return frame.mapInArrow(run, schema)
