@@ -23,7 +23,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from halo.llm.common import ascii_lower, scratch_root, stash, text_or_empty
+from halo.llm.common import ascii_lower, fresh_name, scratch_root, stash, text_or_empty
 
 #: Digests of repeated texts up to this many rows (about 100 bytes each) are broadcast to the byte check.
 BROADCAST_HITS = 200_000
@@ -139,11 +139,14 @@ def drop_copies(docs: DataFrame, decisions: DataFrame, text_col: str = "text", i
     Only the keys of dropped rows are joined. Rows that repeat an id and text are thinned afterwards,
     and only where the decisions show that there are any.
     """
-    gone = decisions.where("not kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha")).distinct()
-    repeated = decisions.where("not kept and doc_id <=> keep_id").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha")).distinct()
-    gone = gone.join(repeated, gone["_id"].eqNullSafe(repeated["_id"]) & (gone["_sha"] == repeated["_sha"]), "left_anti")
-    named = docs.withColumn("_sha_", sha256(ascii_lower(text_or_empty(text_col))))
-    kept = named.join(gone, named[id_col].eqNullSafe(gone["_id"]) & (named["_sha_"] == gone["_sha"]), "left_anti")
+    names = docs.columns
+    own_id, own_sha, sha = (fresh_name(names, x) for x in ("id", "sha", "text_sha"))
+    columns = [F.col("doc_id").alias(own_id), F.col("text_sha256").alias(own_sha)]
+    gone = decisions.where("not kept").select(*columns).distinct()
+    repeated = decisions.where("not kept and doc_id <=> keep_id").select(*columns).distinct()
+    gone = gone.join(repeated, gone[own_id].eqNullSafe(repeated[own_id]) & (gone[own_sha] == repeated[own_sha]), "left_anti")
+    named = docs.withColumn(sha, sha256(ascii_lower(text_or_empty(text_col))))
+    kept = named.join(gone, F.col(id_col).cast("bigint").eqNullSafe(F.col(own_id)) & (F.col(sha) == F.col(own_sha)), "left_anti")
     if not repeated.isEmpty():
-        kept = kept.dropDuplicates([id_col, "_sha_"])
-    return kept.select(*docs.columns)
+        kept = kept.dropDuplicates([id_col, sha])
+    return kept.select(*names)

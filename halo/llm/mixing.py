@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from halo.llm.common import WORD_PATTERN, scratch_root, shuffle_partitions, stash, stash_rows
+from halo.llm.common import WORD_PATTERN, fresh_name, scratch_root, shuffle_partitions, stash, stash_rows
 
 BUCKETS = 128
 CHUNK = 65_536
@@ -197,15 +197,17 @@ def mixed_texts(docs: DataFrame, mixed: Mix, text_col: str = "text", id_col: str
 
     Pass e over a document holds the words whose block is used at least e times (its words in one run
     stay one stretch of the text, with what stood between them; runs are joined by a line feed). A
-    document with all its blocks used appears whole. Rows equal in id and text carry their spans together.
+    document with all its blocks used appears whole. Rows equal in id and text carry their spans together,
+    and the columns of one of them. Columns of `docs` may have any names.
     """
-    spans = mixed.spans().where("uses > 0").groupBy("doc_id", "content").agg(F.array_sort(F.collect_list(F.struct("start", "first", "words", "uses"))).alias("_spans"), F.max("size").alias("_size"))
-    plain = docs.withColumn("_content", F.xxhash64(F.col(text_col).cast("string")))
-    if not mixed.rows.groupBy("doc_id", "content").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
-        plain = plain.dropDuplicates([id_col, "_content"])
-    named = spans.withColumnsRenamed({"doc_id": "_id", "content": "_key"})
-    both = plain.join(named, plain[id_col].eqNullSafe(named["_id"]) & (plain["_content"] == named["_key"])).drop("_id", "_key", "_content")
     names = docs.columns
+    own_id, own_key, content, its_spans, its_size = (fresh_name(names, x) for x in ("id", "key", "content", "spans", "size"))
+    spans = mixed.spans().where("uses > 0").groupBy(F.col("doc_id").alias(own_id), F.col("content").alias(own_key))
+    named = spans.agg(F.array_sort(F.collect_list(F.struct("start", "first", "words", "uses"))).alias(its_spans), F.max("size").alias(its_size))
+    plain = docs.withColumn(content, F.xxhash64(F.col(text_col).cast("string")))
+    if not mixed.rows.groupBy("doc_id", "content").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
+        plain = plain.dropDuplicates([id_col, content])
+    both = plain.join(named, F.col(id_col).cast("bigint").eqNullSafe(F.col(own_id)) & (F.col(content) == F.col(own_key)))
     at = names.index(text_col)
     has_chars = "n_chars" in names
     pattern = WORD_PATTERN
@@ -244,4 +246,4 @@ def mixed_texts(docs: DataFrame, mixed: Mix, text_col: str = "text", id_col: str
                 columns[c] = pa.array([len(t) for t in texts], pa.int64()).cast(columns[c].type)
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    return both.select(*names, "_spans", "_size").mapInArrow(run, docs.schema)
+    return both.select(*names, its_spans, its_size).mapInArrow(run, docs.schema)

@@ -37,7 +37,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from halo.llm.common import scratch_root, stash
+from halo.llm.common import fresh_name, scratch_root, stash
 from halo.llm.tokenise import _shared
 
 #: Ids of documents with candidate links up to this many (8 bytes each) are broadcast to the scan of texts.
@@ -345,5 +345,6 @@ def near_groups(docs: DataFrame, config: NearConfig = NearConfig(), text_col: st
 
 def keep_one(docs: DataFrame, groups: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """`docs` without the rows whose group keeps another one. Only ids of dropped rows are joined."""
-    gone = groups.where("not kept").select(F.col("doc_id").alias(id_col)).distinct()
-    return docs.join(gone, id_col, "left_anti").select(*docs.columns)
+    own_id = fresh_name(docs.columns, "id")
+    gone = groups.where("not kept").select(F.col("doc_id").alias(own_id)).distinct()
+    return docs.join(gone, F.col(id_col).cast("bigint") == F.col(own_id), "left_anti")
