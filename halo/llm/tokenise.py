@@ -21,7 +21,8 @@ CACHE_PIECES = 500_000
 ODD_RANGES = ((0x0B, 0x0C), (0x1C, 0x1F), (0x85, 0x85), (0xA0, 0xA0), (0x1680, 0x1680), (0x180E, 0x180E), (0x2000, 0x200F), (0x2028, 0x202F), (0x205F, 0x2060), (0x3000, 0x3000), (0xFEFF, 0xFEFF))
 ODD_SPACE = re.compile("[" + "".join(f"{chr(a)}-{chr(b)}" for a, b in ODD_RANGES) + "]")
 # A run of Latin letters is cut off where ASCII punctuation or white space follows: no vocabulary here joins the two.
-_LETTERS = "[A-Za-z" + "".join(f"{chr(a)}-{chr(b)}" for a, b in ((0xC0, 0xD6), (0xD8, 0xF6), (0xF8, 0x24F))) + "]+"
+# U+0130 is left out: its lower case is a letter and a combining mark, which a vocabulary may split.
+_LETTERS = "[A-Za-z" + "".join(f"{chr(a)}-{chr(b)}" for a, b in ((0xC0, 0xD6), (0xD8, 0xF6), (0xF8, 0x12F), (0x131, 0x24F))) + "]+"
 _RUN = _LETTERS + "(?=[ \\t\\n\\r.,;:!?'\"|)]|\\Z)"
 PIECES = re.compile(f" ?{_RUN}|[ \\t\\n\\r]*[^ \\t\\n\\r]+|[ \\t\\n\\r]+")
 WORDS = re.compile(f"{_RUN}|[^ \\t\\n\\r]+")
