@@ -1,23 +1,26 @@
 """Exact top-k inner products by columnar branch and bound.
 
-Candidates of a batch are laid out vertically, one row for each dimension. For a query, products are
-accumulated one block of dimensions after another; after each block a candidate can gain at most the
-product of the norms of what is left of query and candidate (Cauchy-Schwarz). Candidates whose bound
-lies under the query's k-th best score so far are dropped and the survivors compacted. The dimensions
-are taken in the order of the query's mass, largest first, so that bounds fall early. Bounds only
-prune; scores are exact integers (float64 sums below 2^53, else Python integers).
+Candidates of a batch are laid out vertically, one row for each dimension, heaviest blocks of dimensions
+first. For a tile of queries, products are accumulated one block of dimensions after another; after each
+block a candidate can gain at most the product of the norms of what is left of query and candidate
+(Cauchy-Schwarz). Candidates whose bound lies under the query's k-th best score so far are dropped; once
+few are left of a tile, the survivors of each query are compacted and go on alone. Bounds only prune;
+scores are exact integers (float64 sums below 2^53, else Python integers).
 
-Queries are handled in blocks of QUERY_BLOCK rows, each collected (a bounded block) and sent to every
-task; candidates are never shuffled. Each task keeps k rows a query, and a window over those finishes.
+Queries are handled in blocks of QUERY_BLOCK rows, one after another, each collected (a bounded block) and
+sent to every task; candidates are never shuffled. Each task keeps k rows a query; the rows of a block are
+written before the next block is collected, and a window over all of them finishes.
 
 Defined results: vectors that are null, empty or hold null, NaN or infinite components take no part;
 vectors of another length than the query's are not its candidates; rows that share the query's id are
 its own; rows that repeat an id are candidates each; ties go to the smaller id. A query id with several
 vectors asks with each different one, and its result is the k best pairs of one of them and a candidate.
+Integers of any size are summed exactly; a score outside the range of a long counts as the nearest long.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,10 +28,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from halo.llm.common import scratch_root, stash
+
 QUERY_BLOCK = 4096
 CANDIDATE_BLOCK = 8192
 DIM_BLOCK = 16
+TILE = 64
 RESULT = "query_id bigint, vec_id bigint, score bigint"
+LEAST, MOST = -(1 << 63), (1 << 63) - 1
 
 
 def usable(vec: Column) -> Column:
@@ -36,59 +43,68 @@ def usable(vec: Column) -> Column:
     return vec.isNotNull() & (F.size(vec) > 0) & ~F.coalesce(bad, F.lit(True))
 
 
-def scaled(vec: Column, scale: int) -> Column:
-    return F.transform(vec, lambda x: F.floor(F.lit(float(scale)) * x.cast("double")))
+def whole(x: float, scale: int) -> int:
+    """floor(scale * x) as an integer of any size."""
+    p = scale * x
+    return math.floor(p) if math.isfinite(p) else int(x) * scale
 
 
-def search_block(ids: np.ndarray, matrix: np.ndarray, qids: np.ndarray, queries: np.ndarray, k: int, floor: np.ndarray, dims: int = DIM_BLOCK):
+def search_block(ids: np.ndarray, matrix: np.ndarray, qids: np.ndarray, queries: np.ndarray, k: int, floor: np.ndarray, dims: int = DIM_BLOCK, tile: int = TILE):
     """The k best candidates of each query among the columns of `matrix` (dimension x candidate).
 
     `floor` holds the k-th best score of each query so far and is raised in place.
-    Yields (query position, candidate positions, scores). Also used for its counters by the tests.
+    Yields (query position, candidate positions, scores, components read so far).
     """
-    d = matrix.shape[0]
-    square = matrix.astype(np.float64) ** 2
-    visited = 0
-    for q in range(len(qids)):
-        query = queries[q]
-        # The order is by blocks of dimensions, heaviest block first.
-        blocks = [np.arange(s, min(d, s + dims)) for s in range(0, d, dims)]
-        mass = np.array([float((query[b].astype(np.float64) ** 2).sum()) for b in blocks])
-        order = np.argsort(-mass, kind="stable")
-        alive = np.flatnonzero(ids != qids[q])
-        total = np.zeros(len(alive))
-        rest = None
-        left = float(mass.sum())
-        for step, b in enumerate(order):
-            rows = blocks[b]
-            part = matrix[rows] if len(alive) == matrix.shape[1] else matrix[np.ix_(rows, alive)]
-            visited += part.size
-            total = total + query[rows] @ part
-            left -= mass[b]
-            if step == len(order) - 1:
-                break
-            if np.isfinite(floor[q]) or len(alive) > 4 * k:
-                if rest is None:
-                    rest = square[:, alive].sum(axis=0)
-                rest = np.maximum(rest - square[np.ix_(rows, alive)].sum(axis=0), 0.0)
-                slack = np.sqrt(max(left, 0.0)) * np.sqrt(rest)
-                bar = floor[q]
-                if len(alive) > k:  # the k-th best guaranteed score of this very block
-                    low = np.partition(total - slack, len(alive) - k)[len(alive) - k]
-                    bar = max(bar, low - 1e-6 * (1 + abs(low)))
-                stay = total + slack >= bar - 1e-6 * (1 + abs(bar)) if np.isfinite(bar) else np.ones(len(alive), bool)
-                if not stay.all():
-                    alive, total, rest = alive[stay], total[stay], rest[stay]
-            if not len(alive):
+    d, n = matrix.shape
+    cuts = [np.arange(s, min(d, s + dims)) for s in range(0, d, dims)]
+    mass = np.stack([(matrix[b] ** 2).sum(axis=0) for b in cuts])
+    order = np.argsort(-mass.sum(axis=1), kind="stable")
+    rows = [cuts[b] for b in order]
+    # After step s: norm of what is left of each candidate, and of each query.
+    rest = np.sqrt(np.vstack([np.cumsum(mass[order][::-1], axis=0)[::-1][1:], np.zeros((1, n))]))
+    own = np.stack([(queries[:, b] ** 2).sum(axis=1) for b in rows])
+    left = np.sqrt(np.vstack([np.cumsum(own[::-1], axis=0)[::-1][1:], np.zeros((1, len(qids)))]))
+    parts, last, visited = [np.ascontiguousarray(matrix[r]) for r in rows], len(rows) - 1, 0
+
+    def bar(q: int, low: np.ndarray) -> float:
+        """No candidate under it is among the k best: `low` are sums that candidates reach for certain."""
+        best = floor[q]
+        if not np.isfinite(best) and len(low) > k:
+            best = np.partition(low, len(low) - k)[len(low) - k]
+        return best - 1e-6 * (1 + abs(best)) if np.isfinite(best) else -np.inf
+
+    for at in range(0, len(qids), tile):
+        qs = np.arange(at, min(len(qids), at + tile))
+        total, step = np.zeros((len(qs), n)), 0
+        total[ids[None, :] == qids[qs][:, None]] = -np.inf
+        while True:  # dense steps, until a tenth of the tile or less is alive
+            total += queries[np.ix_(qs, rows[step])] @ parts[step]
+            visited += len(qs) * parts[step].size
+            slack = left[step][qs][:, None] * rest[step][None, :]
+            bars = np.array([bar(q, total[i] - slack[i]) for i, q in enumerate(qs)])
+            alive = (total + slack >= bars[:, None]) & (total > -np.inf)
+            if step == last or alive.mean() <= 0.1:
                 break
-        if len(alive):
-            best = np.lexsort((ids[alive], -total))[:k]
-            if len(best) == k:
-                floor[q] = max(floor[q], total[best[-1]])
-            yield q, alive[best], total[best], visited
-
-
-def _search(qids: np.ndarray, queries: np.ndarray, k: int):
+            step += 1
+        for i, q in enumerate(qs):
+            some = np.flatnonzero(alive[i])
+            sums = total[i, some]
+            for s in range(step + 1, last + 1):
+                if not len(some):
+                    break
+                sums = sums + queries[q, rows[s]] @ parts[s][:, some]
+                visited += len(rows[s]) * len(some)
+                slack = left[s, q] * rest[s, some]
+                stay = sums + slack >= bar(q, sums - slack)
+                some, sums = some[stay], sums[stay]
+            if len(some):
+                best = np.lexsort((ids[some], -sums))[:k]
+                if len(best) == k:
+                    floor[q] = max(floor[q], sums[best[-1]])
+                yield int(q), some[best], sums[best], visited
+
+
+def _search(qids: np.ndarray, queries: np.ndarray, k: int, scale: int):
     d = queries.shape[1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -97,7 +113,7 @@ def _search(qids: np.ndarray, queries: np.ndarray, k: int):
         for batch in batches:
             flat = batch.column(1).flatten().to_numpy(zero_copy_only=False)
             ids = batch.column(0).to_numpy(zero_copy_only=False)
-            matrix = np.ascontiguousarray(flat.reshape(len(ids), d).T).astype(np.float64)
+            matrix = np.floor(scale * np.ascontiguousarray(flat.reshape(len(ids), d).T))
             for s in range(0, len(ids), CANDIDATE_BLOCK):
                 part_ids = ids[s : s + CANDIDATE_BLOCK]
                 for q, where, score, _ in search_block(part_ids, matrix[:, s : s + CANDIDATE_BLOCK], qids, queries, k, floor):
@@ -113,6 +129,23 @@ def _search(qids: np.ndarray, queries: np.ndarray, k: int):
     return run
 
 
+def _search_wide(asked: list[tuple[int, list[float]]], k: int, scale: int):
+    """Components too large for float64 sums: the same scores with Python integers."""
+    queries = [(q, [whole(x, scale) for x in v]) for q, v in asked]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best: list[list[tuple[int, int]]] = [[] for _ in queries]
+        for batch in batches:
+            rows = [(i, [whole(x, scale) for x in v]) for i, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())]
+            for at, (q, query) in enumerate(queries):
+                found = [(-min(MOST, max(LEAST, sum(a * b for a, b in zip(query, v)))), i) for i, v in rows if i != q]
+                best[at] = sorted(best[at] + found)[:k]
+        for (q, _), found in zip(queries, best):
+            yield pa.RecordBatch.from_arrays([pa.array([q] * len(found), pa.int64()), pa.array([i for _, i in found], pa.int64()), pa.array([-s for s, _ in found], pa.int64())], ["query_id", "vec_id", "score"])
+
+    return run
+
+
 def _best(q: np.ndarray, ids: np.ndarray, score: np.ndarray, k: int):
     order = np.lexsort((ids, -score, q))
     q, ids, score = q[order], ids[order], score[order]
@@ -122,35 +155,30 @@ def _best(q: np.ndarray, ids: np.ndarray, score: np.ndarray, k: int):
     return q[stay], ids[stay], score[stay]
 
 
-def _search_wide(query_id: int, query: list[int], k: int, rows: DataFrame) -> DataFrame:
-    """Components too large for float64 sums: the same scores with decimal arithmetic inside Spark."""
-    zero = F.lit(0).cast("decimal(38,0)")
-    pair = F.zip_with("v", F.array(*[F.lit(x).cast("decimal(19,0)") for x in query]), lambda a, b: a.cast("decimal(19,0)") * b)
-    score = F.aggregate(pair, zero, lambda a, x: (a + x).cast("decimal(38,0)"))
-    scored = rows.where((F.size("v") == len(query)) & (F.col("vec_id") != query_id)).select(F.lit(query_id).cast("bigint").alias("query_id"), "vec_id", score.cast("bigint").alias("score"))
-    return scored.orderBy(F.desc("score"), "vec_id").limit(k)
-
-
 def top_k(vectors: DataFrame, is_query: Column, k: int, scale: int = 256, id_col: str = "vec_id", vec_col: str = "embedding", query_block: int = QUERY_BLOCK) -> DataFrame:
     """Rows query_id, rank, vec_id, score for every row of `vectors` that is a query, against all rows."""
     spark = vectors.sparkSession
     rows = vectors.where(usable(F.col(vec_col)) & F.col(id_col).isNotNull())
-    rows = rows.select(F.col(id_col).cast("bigint").alias("vec_id"), scaled(F.col(vec_col), scale).alias("v"), is_query.alias("_query"))
-    asked = rows.where("_query").select("vec_id", "v").dropDuplicates(["vec_id", "v"])
-    largest = rows.agg(F.max(F.array_max(F.transform("v", lambda x: F.abs(x)))).alias("m"), F.max(F.size("v")).alias("d"), F.count_if("_query").alias("n")).head()
+    rows = rows.select(F.col(id_col).cast("bigint").alias("vec_id"), F.col(vec_col).cast("array<double>").alias("v"), is_query.alias("is_query"))
+    asked = rows.where("is_query").select("vec_id", "v").dropDuplicates(["vec_id", "v"])
+    largest = rows.agg(F.max(F.array_max(F.transform("v", lambda x: F.abs(x * F.lit(float(scale)))))).alias("m"), F.max(F.size("v")).alias("d"), F.count_if("is_query").alias("n")).head()
     parts: list[DataFrame] = []
     if largest.n:
-        exact = float(largest.m) ** 2 * largest.d < 2**53
+        most = float(largest.m) + 1
+        exact, root = most * most * largest.d < 2**53, scratch_root(spark)
         n_blocks = -(-largest.n // query_block)
         for b in range(n_blocks):
             block = asked.where(F.pmod(F.xxhash64("vec_id", "v"), F.lit(n_blocks)) == b).collect() if n_blocks > 1 else asked.collect()
             for d in sorted({len(r.v) for r in block}):
                 same = sorted((r.vec_id, r.v) for r in block if len(r.v) == d)
                 if exact:
-                    qids, queries = np.array([i for i, _ in same], np.int64), np.array([v for _, v in same], np.float64)
-                    parts.append(rows.where(F.size("v") == d).select("vec_id", "v").mapInArrow(_search(qids, queries, k), RESULT))
+                    search = _search(np.array([i for i, _ in same], np.int64), np.floor(scale * np.array([v for _, v in same], np.float64)), k, scale)
                 else:
-                    parts += [_search_wide(i, v, k, rows) for i, v in same]
+                    search = _search_wide(same, k, scale)
+                found = rows.where(F.size("v") == d).select("vec_id", "v").mapInArrow(search, RESULT)
+                parts.append(found if n_blocks == 1 else stash(found, f"{root}/found/block={b}-{d}"))
+        if n_blocks > 1:  # one table of all blocks, whatever their number
+            parts = [spark.read.schema(RESULT).parquet(f"{root}/found").select("query_id", "vec_id", "score")]
     if not parts:
         parts = [spark.createDataFrame([], RESULT)]
     found = parts[0]
