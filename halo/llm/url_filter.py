@@ -4,8 +4,8 @@ Features of a URL: lengths, depth, shares of digits and hyphens, character entro
 and statistics of its host's suffixes (block rate among the labelled URLs, smoothed, out of fold while
 learning). Suffixes are counted over all distinct labelled URLs and joined to the pages. Trees are grown on
 quantile bins by Newton gain with logistic loss, on a bounded sample: SAMPLE distinct URLs with the smallest
-hash. Labels come from a column expression; the default marks hosts that hold one of SEED_TERMS, a blocklist
-of words. Every URL is judged.
+hash. Labels come from a column expression; the default marks hosts one of whose words (parts between dots and
+hyphens, digits at their end aside) is among SEED_TERMS, a blocklist. Every URL is judged.
 
 Defined results: a null URL, or one without "://", has an empty host and path, no rule, and the score
 of an empty URL; rows that repeat a page are judged each; with one class only among the labels every
@@ -283,7 +283,7 @@ class UrlModel:
 
 def seed_label(url: Column) -> Column:
     host, _ = host_path(url)
-    return host.rlike("|".join(SEED_TERMS)).cast("int")
+    return host.rlike(r"(^|[.\-])(" + "|".join(SEED_TERMS) + r")[0-9]*([.\-]|$)").cast("int")
 
 
 def sample_rows(pages: DataFrame, label: Column, url_col: str = "url", most: int = SAMPLE) -> DataFrame:
