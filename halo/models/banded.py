@@ -112,6 +112,106 @@ def fit(wide: DataFrame, d: int, bandwidth: int, n_blocks: int, method: str = "n
     return cut.groupBy("dblk").applyInArrow(run, "dblk int, i int, j int, value double, sigma2 double")
 
 
+def sums_by_block(long: DataFrame, n: int, plan: list[tuple[int, int, int, int, int]], d: int, bandwidth: int, size: int) -> DataFrame:
+    """Regression sums of every row over time blocks of `size` by dimension blocks: dblk, i, k, s.
+
+    `long` (idx, dim, v) is a grid of steps 0..n-1 whose absent cells are 0. One shuffle deals the sparse cells to
+    (time, dimension) blocks with their halos; a block holds size x |P_i+| numbers, whatever n and d are. Sums of row
+    i over its w = 2 b + 1 columns, in order of k: products of columns (w x w), products with the next value (w), its
+    square, sums of columns over pairs (w), of next values, and over all steps (w).
+    """
+    edges = F.array(*[F.lit(f) for _, f, _, _, _ in plan])
+    own = F.size(F.filter(edges, lambda e: e <= F.col("dim"))) - 1
+    near = F.array_distinct(F.transform(F.sequence(F.greatest(F.col("dim") - bandwidth, F.lit(0)), F.least(F.col("dim") + bandwidth, F.lit(d - 1))), lambda c: F.size(F.filter(edges, lambda e: e <= c)) - 1))
+    cells = long.where((F.col("idx") >= 0) & (F.col("idx") < n) & F.col("v").isNotNull())
+    cells = cells.withColumn("dblk", F.explode(F.when(F.lit(bandwidth) > 0, near).otherwise(F.array(own))))
+    tblk = F.call_function("div", F.col("idx"), F.lit(size))
+    first = F.call_function("div", F.greatest(F.col("idx") - 1, F.lit(0)), F.lit(size))
+    dealt = cells.select("idx", "dim", F.col("v").cast("double").alias("v"), "dblk", F.explode(F.sequence(first, tblk)).alias("tblk"))
+    w = 2 * bandwidth + 1
+
+    def run(keys, table):
+        b, t = keys[0].as_py(), keys[1].as_py()
+        _, f, last, lo, hi = plan[b]
+        steps = min(size + 1, n - t * size)  # one step of halo on the right
+        x = np.zeros((steps, hi - lo + 2 * bandwidth))  # columns beyond the series are 0
+        np.add.at(x, (table.column("idx").to_numpy() - t * size, table.column("dim").to_numpy() - lo + bandwidth), table.column("v").to_numpy())
+        past, nxt, core = x[:-1], x[1:], x[: min(size, steps)]
+        rows, sums = [], []
+        for i in range(f, last):
+            at = slice(i - lo, i - lo + w)
+            z, y = past[:, at], nxt[:, i - lo + bandwidth]
+            s = np.concatenate([(z.T @ z).ravel(), z.T @ y, [y @ y], z.sum(axis=0), [y.sum()], core[:, at].sum(axis=0)])
+            rows.append(np.full(len(s), i))
+            sums.append(s)
+        s = np.concatenate(sums)
+        return pa.table({"dblk": pa.array(np.full(len(s), b), pa.int32()), "i": pa.array(np.concatenate(rows), pa.int32()), "k": pa.array(np.tile(np.arange(len(sums[0])), len(sums)), pa.int32()), "s": pa.array(s, pa.float64())})
+
+    parts = dealt.groupBy("dblk", "tblk").applyInArrow(run, "dblk int, i int, k int, s double")
+    return parts.groupBy("dblk", "i", "k").agg(F.sum("s").alias("s"))
+
+
+def fit_sums(long: DataFrame, n: int, d: int, bandwidth: int, n_blocks: int, size: int = 256, centre: bool = True) -> DataFrame:
+    """Own parameters of every row from sums over (time, dimension) blocks: rows dblk, i, j, value, sigma2.
+
+    Equal to `fit` on the whole grid of n steps, but no task holds a dimension block's whole time axis. Rows whose
+    columns are all 0 get 0; a row of dimensions without any data in its block is not listed.
+    """
+    plan, w = dim_blocks(d, n_blocks, bandwidth), 2 * bandwidth + 1
+    sums = sums_by_block(long, n, plan, d, bandwidth, size)
+
+    def solve(keys, table):
+        i, k, s = (table.column(c).to_numpy() for c in ("i", "k", "s"))
+        names, place = np.unique(i, return_inverse=True)
+        flat = np.zeros((len(names), int(k.max(initial=0)) + 1))
+        flat[place, k] = s
+        out = {c: [] for c in ("i", "j", "value", "sigma2")}
+        for r, own in zip(names.tolist(), flat):
+            zz, zy, yy, sz, sy, total = np.split(own, np.cumsum([w * w, w, 1, w, 1]))
+            zz, m = zz.reshape(w, w), total / n * float(centre)
+            mu, pairs = m[bandwidth], n - 1
+            zz = zz - np.outer(m, sz) - np.outer(sz, m) + pairs * np.outer(m, m)
+            zy = zy - m * sy[0] - mu * sz + pairs * mu * m
+            yy = yy[0] - 2 * mu * sy[0] + pairs * mu * mu
+            inside = [c for c in range(w) if 0 <= r + c - bandwidth < d]
+            a = np.linalg.lstsq(zz[np.ix_(inside, inside)], zy[inside], rcond=None)[0]
+            s2 = max(0.0, float(yy - 2 * a @ zy[inside] + a @ zz[np.ix_(inside, inside)] @ a)) / max(pairs, 1)
+            out["i"] += [r] * len(inside)
+            out["j"] += [r + c - bandwidth for c in inside]
+            out["value"] += a.tolist()
+            out["sigma2"] += [s2] * len(inside)
+        kinds = {"i": pa.int32(), "j": pa.int32(), "value": pa.float64(), "sigma2": pa.float64()}
+        return pa.table({"dblk": pa.array([keys[0].as_py()] * len(out["i"]), pa.int32()), **{c: pa.array(v, kinds[c]) for c, v in out.items()}})
+
+    return sums.groupBy("dblk").applyInArrow(solve, "dblk int, i int, j int, value double, sigma2 double")
+
+
+def fit_shared_sums(long: DataFrame, n: int, d: int, bandwidth: int, n_blocks: int, size: int = 256) -> np.ndarray:
+    """One weight for each offset, shared by all rows, about the means: its normal equations are the rows' sums added up."""
+    w = 2 * bandwidth + 1
+    sums = sums_by_block(long, n, dim_blocks(d, n_blocks, bandwidth), d, bandwidth, size)
+    # About the mean each row's sums need their own corrections, so they are made row by row before the total.
+    spread = [F.sum(F.when(F.col("k") == k, F.col("s"))).alias(f"s{k}") for k in range(w * w + 3 * w + 2)]
+    rows = sums.groupBy("i").agg(*spread)
+    zy0, sz0, t0 = w * w, w * w + w + 1, w * w + 2 * w + 2
+    mean = [F.col(f"s{t0 + a}") / n for a in range(w)]
+    cells = []
+    for a in range(w):
+        for b in range(w):
+            c = F.col(f"s{a * w + b}") - mean[a] * F.col(f"s{sz0 + b}") - mean[b] * F.col(f"s{sz0 + a}") + (n - 1) * mean[a] * mean[b]
+            cells.append(F.sum(c).alias(f"zz{a}_{b}"))
+        y = F.col(f"s{zy0 + a}") - mean[a] * F.col(f"s{t0 - 1}") - mean[bandwidth] * F.col(f"s{sz0 + a}") + (n - 1) * mean[bandwidth] * mean[a]
+        cells.append(F.sum(y).alias(f"zy{a}"))
+    got = rows.agg(*cells).head()
+    zz = np.array([[got[f"zz{a}_{b}"] for b in range(w)] for a in range(w)])
+    return np.linalg.solve(zz, np.array([got[f"zy{a}"] for a in range(w)]))
+
+
+def reorder(wide: DataFrame, order: list[int]) -> DataFrame:
+    """Dimensions in the given order (from linalg's reverse breadth-first ordering, say), so that couplings lie near the diagonal."""
+    return wide.withColumn("x", F.array(*[F.col("x")[k] for k in order]))
+
+
 def fit_shared(wide: DataFrame, d: int, bandwidth: int, n_blocks: int, steps: int = 30, centre: bool = True) -> tuple[np.ndarray, list[tuple[int, float]]]:
     """One weight for each offset, shared by all rows: gradients of the blocks are added, weights sent back."""
     cut = cut_dims(wide, dim_blocks(d, n_blocks, bandwidth)).persist()

@@ -19,7 +19,9 @@ from halo.operators import kernels
 
 
 def design(idx, core, x, p):
-    t = np.array([k for k in np.flatnonzero(core) if k >= p and idx[k] - idx[k - p] == p], int)
+    t = np.flatnonzero(core)
+    t = t[t >= p]
+    t = t[idx[t] - idx[t - p] == p]
     return x[t], np.hstack([x[t - k] for k in range(1, p + 1)]) if p else np.zeros((len(t), 0)), idx[t]
 
 
@@ -79,6 +81,13 @@ def spectral_step(pi: np.ndarray, cov: np.ndarray) -> tuple[float, float]:
     return 2 / (lo + hi), (hi - lo) / (hi + lo)
 
 
+def curvature_step(family: str, pi: np.ndarray, cov: np.ndarray) -> float:
+    """2 / (m + L) where the loss of whitened residuals curves between two bounds."""
+    least, most = {"gaussian": (1.0, 1.0), "smooth_robust": (0.1, 1.1)}[family]
+    (a, b), (c, e) = linalg.extreme_eigenvalues(pi), linalg.extreme_eigenvalues(cov)
+    return 2 / (least * a * c + most * b * e)
+
+
 def newton(m: np.ndarray, n: int) -> np.ndarray:
     """Normal equations: the optimum in one solve, cubic in p d."""
     p = m.shape[0] - 1
@@ -100,15 +109,23 @@ def precision(m: np.ndarray, n: int, theta: np.ndarray, form: str = "full", bloc
 
 
 def gradient_fit(source, d: int, p: int, pi: np.ndarray, step="spectral", tol: float = 1e-9, most: int = 2000, halo: int = 0, family: str = "gaussian", fixed: float | None = None) -> tuple[np.ndarray, list[tuple]]:
-    """Full gradient descent. `source`: (gram, n), or blocks for one pass a step. Trace: iter, objective, gradient norm, step, rows."""
+    """Full gradient descent. `source`: (gram, n), or blocks for one pass a step. Trace: iter, objective, gradient norm, step, rows.
+
+    step 'spectral' takes the extremes of the stacked covariance, which blocks give in one pass of their own; 'backtracking'
+    tries several sizes in one pass; `fixed` is a size of the caller's, who answers for its convergence.
+    """
     theta, trace = np.zeros((d, p * d)), []
     on_gram = isinstance(source, tuple)
 
     def evaluate(ts):
         return [(*gram_gradient(*source, t, pi), source[1]) for t in ts] if on_gram else pass_over(source, ts, pi, p, halo, family)
 
-    cov = stacked_cov(*source) if on_gram else None
-    size = fixed or (spectral_step(pi, cov)[0] if step == "spectral" and on_gram else 1.0)
+    if step not in ("spectral", "backtracking"):
+        raise ValueError("step is 'spectral' or 'backtracking'")
+    size = fixed or 1.0
+    if fixed is None and step == "spectral":
+        cov = stacked_cov(*(source if on_gram else moments.gram_matrix(moments.lag_gram(source, p, halo), p, d)))
+        size = spectral_step(pi, cov)[0] if family == "gaussian" else curvature_step(family, pi, cov)
     f, g, n = evaluate([theta])[0]
     for k in range(most):
         trace.append((k, f, float(np.linalg.norm(g)), float(size), n))
@@ -158,12 +175,30 @@ def local_sgd_fit(blocks: DataFrame, d: int, p: int, halo: int, epochs: int = 5,
     return theta
 
 
-def alternate(m: np.ndarray, n: int, tol: float = 1e-10, most: int = 50) -> tuple[np.ndarray, np.ndarray, list[float]]:
-    """Coefficients given precision, precision given coefficients, until the objective settles."""
+def masked_newton(m: np.ndarray, n: int, pi: np.ndarray, mask: np.ndarray) -> np.ndarray:
+    """The optimum among coefficients that vanish outside `mask`: rows meet through the precision."""
+    p = m.shape[0] - 1
+    i, k = np.nonzero(mask)
+    z, yz = stacked_cov(m, n), np.hstack([m[0, b] for b in range(1, p + 1)]) / n
+    theta = np.zeros(mask.shape)
+    theta[i, k] = np.linalg.solve(pi[np.ix_(i, i)] * z[np.ix_(k, k)], (pi @ yz)[i, k])
+    return theta
+
+
+def band_mask(d: int, p: int, bandwidth: int) -> np.ndarray:
+    return np.tile(np.abs(np.subtract.outer(np.arange(d), np.arange(d))) <= bandwidth, p)
+
+
+def alternate(m: np.ndarray, n: int, tol: float = 1e-10, most: int = 50, mask: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, list[float]]:
+    """Coefficients given precision, precision given coefficients, until the objective settles.
+
+    Without a mask the coefficients do not depend on the precision and one round is enough; with zeros given by
+    `mask` (a band, say) each step changes the other.
+    """
     d = m.shape[2]
     pi, theta, seen = np.eye(d), np.zeros((d, d * (m.shape[0] - 1))), []
     for _ in range(most):
-        theta = newton(m, n)  # for any positive precision the quadratic optimum in A is the same
+        theta = newton(m, n) if mask is None else masked_newton(m, n, pi, mask)
         pi = precision(m, n, theta)
         seen.append(gram_gradient(m, n, theta, pi)[0])
         if len(seen) > 1 and abs(seen[-1] - seen[-2]) < tol:

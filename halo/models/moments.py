@@ -10,8 +10,11 @@ from dataclasses import dataclass
 from fractions import Fraction
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import _parse_datatype_string
 
 from halo.functions import linalg
 from halo.operators import kernels
@@ -26,9 +29,8 @@ def lag_kernel(max_lag: int, entries: str | tuple = "all"):
         d = x.shape[1] if x.size else 0
         out = {k: [] for k in ("lag", "i", "j", "n", "s", "u", "v")}
         for h in range(max_lag + 1):
-            a = np.flatnonzero(core[: len(idx) - h]) if len(idx) > h else np.zeros(0, int)
-            a = a[idx[a + h] - idx[a] == h]
-            left, right = x[a], x[a + h]
+            a, b = kernels.partner(idx, np.flatnonzero(core), h)
+            left, right = x[a], x[b]
             p, u, v = left.T @ right, left.sum(axis=0), right.sum(axis=0)
             if entries == "diag":
                 i = j = np.arange(d)
@@ -57,6 +59,71 @@ def lag_products(blocks: DataFrame, max_lag: int, halo: int, entries="all", back
     return pairs.groupBy("lag", "i", "j").agg(F.count(F.lit(1)).cast("double").alias("n"), F.sum(F.col("a") * F.col("b")).alias("s"), F.sum("a").alias("u"), F.sum("b").alias("v"))
 
 
+def lag_tiles(blocks: DataFrame, max_lag: int, halo: int, tile: int = 128) -> DataFrame:
+    """Lag products of wide series by square tiles: lag, ti, tj, n and matrices s (tile x tile), u, v as bytes.
+
+    What a block gives is added up inside each partition before the one small shuffle by tile, so that shuffle
+    grows with partitions and d^2, not with blocks, and no row stands for a single entry.
+    """
+    kernels.check_reach(max_lag, halo)
+    schema = "lag int, ti int, tj int, n double, s binary, u binary, v binary"
+    names = ["lag", "ti", "tj", "n", "s", "u", "v"]
+
+    def kernel(table: pa.Table) -> pa.Table:
+        idx, core, x = kernels.unpack(table)
+        rows = []
+        cuts = range(0, x.shape[1] if x.size else 0, tile)
+        for h in range(max_lag + 1):
+            a, b = kernels.partner(idx, np.flatnonzero(core), h)
+            left, right = x[a], x[b]
+            for p in cuts:
+                for q in cuts:
+                    y, z = left[:, p : p + tile], right[:, q : q + tile]
+                    rows.append((h, p // tile, q // tile, float(len(a)), (y.T @ z).tobytes(), y.sum(axis=0).tobytes(), z.sum(axis=0).tobytes()))
+        return pa.table([pa.array(c) for c in zip(*rows)] if rows else [pa.array([])] * 7, names).cast(to_arrow_schema(_parse_datatype_string(schema)))
+
+    def added(tables) -> dict:
+        total: dict[tuple, list] = {}
+        for table in tables:
+            for h, p, q, n, *parts in zip(*(c.to_pylist() for c in table.columns)):
+                own = total.setdefault((h, p, q), [0.0, 0.0, 0.0, 0.0])
+                own[0] += n
+                for k, part in enumerate(parts, 1):
+                    own[k] = own[k] + np.frombuffer(part)
+        return total
+
+    def batch(total: dict) -> pa.RecordBatch:
+        rows = [(*k, v[0], *(np.asarray(m).tobytes() for m in v[1:])) for k, v in total.items()]
+        kinds = to_arrow_schema(_parse_datatype_string(schema)).types
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names)
+
+    def combine(batches):
+        total = added(batches)
+        if total:
+            yield batch(total)
+
+    def final(table: pa.Table) -> pa.Table:
+        return pa.Table.from_batches([batch(added([table]))])
+
+    parts = blocks.groupBy("block").applyInArrow(kernel, schema).mapInArrow(combine, schema)
+    return parts.groupBy("lag", "ti", "tj").applyInArrow(final, schema)
+
+
+def tile_covariances(tiles: DataFrame, mean: np.ndarray, length: int, denom: str = "printed", tile: int = 128) -> DataFrame:
+    """Covariances lag, i, j, value of all tiles; a tile's entries never meet on the driver."""
+
+    def run(batches):
+        for b in batches:
+            for h, p, q, n, s, u, v in zip(*(c.to_pylist() for c in b.columns)):
+                u, v = np.frombuffer(u), np.frombuffer(v)
+                s, mu, nu = np.frombuffer(s).reshape(len(u), len(v)), mean[p * tile :][: len(u)], mean[q * tile :][: len(v)]
+                c = (s - np.outer(u, nu) - np.outer(mu, v) + n * np.outer(mu, nu)) / {"printed": n - 1, "pairs": n, "n": length}[denom]
+                i, j = (m.ravel() for m in np.indices(c.shape))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(c.size, h), pa.int32()), pa.array(i + p * tile, pa.int32()), pa.array(j + q * tile, pa.int32()), pa.array(c.ravel(), pa.float64())], ["lag", "i", "j", "value"])
+
+    return tiles.mapInArrow(run, "lag int, i int, j int, value double")
+
+
 @dataclass
 class Moments:
     """Lag products on the driver: p, n, u, v by lag; merge adds two disjoint parts."""
@@ -68,11 +135,11 @@ class Moments:
 
     @staticmethod
     def collect(rows: DataFrame) -> "Moments":
-        got = rows.collect()
-        H, d = max((r.lag for r in got), default=0) + 1, max((r.i for r in got), default=-1) + 1
+        got = rows.select("lag", "i", "j", "n", "s", "u", "v").toArrow()
+        lag, i, j, count, s, left, right = (got.column(k).to_numpy() for k in range(7))
+        H, d = int(lag.max(initial=0)) + 1, int(i.max(initial=-1)) + 1
         p, n, u, v = np.zeros((H, d, d)), np.zeros(H), np.zeros((H, d)), np.zeros((H, d))
-        for r in got:
-            p[r.lag, r.i, r.j], n[r.lag], u[r.lag, r.i], v[r.lag, r.j] = r.s, r.n, r.u, r.v
+        p[lag, i, j], n[lag], u[lag, i], v[lag, j] = s, count, left, right
         return Moments(p, n, u, v)
 
     def merge(self, other: "Moments", sign: int = 1) -> "Moments":
@@ -113,8 +180,10 @@ def window_form(blocks: DataFrame, H: int, N: int, mean: np.ndarray, halo: int,
     def run(idx, core, x):
         z = x - mean
         out = {k: [] for k in ("lag", "i", "j", "s")}
+        a = np.flatnonzero(core)
+        a = a[(a >= H) & (a + H < len(idx))]
+        a = a[idx[a + H] - idx[a - H] == 2 * H]
         for h in range(-H, H + 1):
-            a = np.array([k for k in np.flatnonzero(core) if k >= H and k + H < len(idx) and idx[k + H] - idx[k - H] == 2 * H], int)
             i, j = (m.ravel() for m in np.indices((x.shape[1], x.shape[1])))
             out["lag"].append(np.full(len(i), h)), out["i"].append(i), out["j"].append(j), out["s"].append((z[a].T @ z[a + h])[i, j])
         return {k: np.concatenate(v) for k, v in out.items()}
@@ -164,7 +233,9 @@ def gram_kernel(p: int):
     """M_jk = sum over t of x_{t-j} x_{t-k}^T for core t with p predecessors."""
 
     def run(idx, core, x):
-        t = np.array([k for k in np.flatnonzero(core) if k >= p and idx[k] - idx[k - p] == p], int)
+        t = np.flatnonzero(core)
+        t = t[t >= p]
+        t = t[idx[t] - idx[t - p] == p]
         d = x.shape[1]
         out = {k: [] for k in ("a", "b", "i", "j", "s", "n")}
         for a in range(p + 1):

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from halo.operators.blocks import lagged
+from halo.operators.grid import running
 
 
 def diff(blocks: DataFrame, order: int = 1, col: str = "v") -> DataFrame:
@@ -22,9 +23,9 @@ def prefix_sum(blocks: DataFrame, col: str = "v") -> DataFrame:
     """Running totals over all blocks: block totals, their prefix (one row a block), running sums inside."""
     core = blocks.where("is_core")
     totals = core.groupBy("block").agg(F.sum(col).alias("t"))
-    before = totals.select("block", F.coalesce(F.sum("t").over(Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("b"))
+    before = running(totals, "block", "t", "sum").select("block", F.col("before").alias("b"))
     w = Window.partitionBy("block").orderBy("idx").rowsBetween(Window.unboundedPreceding, 0)
-    return core.withColumn("r", F.sum(col).over(w)).join(F.broadcast(before), "block").select("idx", (F.col("r") + F.col("b")).alias("y"))
+    return core.withColumn("r", F.sum(col).over(w)).join(before, "block").select("idx", (F.col("r") + F.col("b")).alias("y"))
 
 
 def integrate(blocks: DataFrame, first, col: str = "v") -> DataFrame:

@@ -14,7 +14,8 @@ from pyspark.sql.types import _parse_datatype_string
 
 from halo.models.process import uniform
 from halo.operators.blocks import HaloTooShort, time_blocks
-from halo.operators.kernels import check_reach as check_lag
+from halo.operators.kernels import check_reach as check_lag, partner
+from halo.plans import scratch
 
 Kernel = Callable[[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray], dict[str, np.ndarray]]
 
@@ -51,9 +52,9 @@ def hop_blocks(edges: DataFrame, owners: DataFrame, k: int, directed: str = "bot
     return seen.withColumn("is_core", F.col("hop") == 0)
 
 
-def cross_blocks(states: DataFrame, size: int, h: int, gblocks: DataFrame) -> DataFrame:
+def cross_blocks(states: DataFrame, size: int, h: int, gblocks: DataFrame, bounds: tuple[int, int] | None = None) -> DataFrame:
     """(tblk, gblk) blocks of states (v, idx, x): both halos, both core flags."""
-    t = time_blocks(states, size, h, h).withColumnsRenamed({"block": "tblk", "is_core": "t_core"})
+    t = time_blocks(states, size, h, h, bounds=bounds).withColumnsRenamed({"block": "tblk", "is_core": "t_core"})
     out = t.join(gblocks.select("gblk", "v", F.col("is_core").alias("g_core"), "hop"), "v")
     return out.repartition("tblk", "gblk")
 
@@ -82,15 +83,26 @@ def hop_pairs(sources: DataFrame, edges_in: DataFrame, hops: int) -> DataFrame:
     return seen
 
 
-def pair_sums(cross: DataFrame, edges_in: DataFrame, lags: int, reach: int = 1, hops: int = 1) -> DataFrame:
-    """Sums of x_t^v x_{t+h}^u over vertices u that are 0..hops directed edges from v: h, hop, n, s."""
-    check_reach(hops, reach)
-    core = cross.where("t_core and g_core").select("tblk", "gblk", F.col("v").alias("a"), "idx", F.col("x").alias("xa"))
-    near = hop_pairs(core.select("gblk", "a").distinct(), edges_in, hops)
-    pairs = core.join(near, ["gblk", "a"]).withColumn("h", F.explode(F.sequence(F.lit(0), F.lit(lags))))
-    other = cross.select("tblk", "gblk", F.col("v").alias("b"), F.col("idx").alias("j"), F.col("x").alias("xb"))
-    got = pairs.withColumn("j", F.col("idx") + F.col("h")).join(other, ["tblk", "gblk", "b", "j"])
-    return got.groupBy("h", "hop").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("xa") * F.col("xb")).alias("s"))
+def pair_sums(cross: DataFrame, edges_in: DataFrame, lags: int, reach: int = 1, hops: int = 1, halo: int | None = None) -> DataFrame:
+    """Sums of x_t^v x_{t+h}^u over vertices u that are 0..hops directed edges from v: h, hop, n, s.
+
+    Runs inside the (time, graph) blocks; one state for each (v, idx). s has the type of a sum of x.
+    """
+
+    def kernel(v, idx, core, x, dist):
+        out = {k: [] for k in ("h", "hop", "n", "s")}
+        own, there, value = core & ~np.isnan(x), ~np.isnan(x), np.nan_to_num(x)
+        for h in range(lags + 1):
+            a, b = partner(idx, np.arange(len(idx)), h)
+            count, total = own[a].astype(float).T @ there[b].astype(float), np.where(own, value, 0.0)[a].T @ value[b]
+            for k in range(hops + 1):
+                near = dist == k
+                out["h"].append(h), out["hop"].append(k), out["n"].append(int(count[near].sum())), out["s"].append(float(total[near].sum()))
+        return {k: np.array(c, np.float64 if k == "s" else np.int64) for k, c in out.items()}
+
+    kind = cross.select(F.sum("x")).dtypes[0][1]
+    got = map_reduce(cross, edges_in, kernel, "h int, hop int, n bigint, s double", ("h", "hop"), ("n", "s"), (lags, hops), (lags if halo is None else halo, reach))
+    return got.where("n > 0").select("h", "hop", "n", F.col("s").cast(kind).alias("s"))
 
 
 def map_blocks(cross: DataFrame, edges_in: DataFrame, kernel: Kernel, schema: str, order: tuple[int, int], halo: tuple[int, int]) -> DataFrame:
@@ -171,8 +183,8 @@ def flows(states: DataFrame, edges: DataFrame, capacity: DataFrame, keys: list[s
     in_deg = edges.groupBy("dst").agg(F.count(F.lit(1)).alias("id"))
     send = states.select(*keys, F.col("v").alias("src"), F.least("n", F.lit(qmax)).alias("sn"))
     room = states.join(capacity, "v").select(*keys, F.col("v").alias("dst"), (F.col("cap") - F.col("n")).alias("rm"))
-    e = edges.join(F.broadcast(out_deg), "src").join(F.broadcast(in_deg), "dst")
-    both = send.join(F.broadcast(e), "src").join(room, [*keys, "dst"])
+    e = edges.join(out_deg, "src").join(in_deg, "dst")  # broadcast by Spark where their size allows
+    both = send.join(e, "src").join(room, [*keys, "dst"])
     flow = F.greatest(F.lit(0), F.least(F.call_function("div", F.col("sn"), F.col("od")), F.call_function("div", F.col("rm"), F.col("id"))))
     if seed is not None:  # thinning by a draw that replicas repeat
         flow = F.floor(flow * uniform(seed, F.col("src"), F.col("dst"), *[F.col(k) for k in keys]))
@@ -188,7 +200,7 @@ def traffic_step(states: DataFrame, edges: DataFrame, capacity: DataFrame, keys:
 
 
 def simulate(states: dict[int, int], edges: list[tuple[int, int]], cap: dict[int, int], steps: int, seed: int, draw) -> list[dict[int, int]]:
-    """The same update on one machine for a block and its halo; draw(seed, src, dst, step) in (0, 1)."""
+    """The same update on one machine; draw(seed, src, dst, step) in (0, 1)."""
     od, idg = {}, {}
     for a, b in edges:
         od[a], idg[b] = od.get(a, 0) + 1, idg.get(b, 0) + 1
@@ -203,3 +215,64 @@ def simulate(states: dict[int, int], edges: list[tuple[int, int]], cap: dict[int
         now = nxt
         out.append(now)
     return out
+
+
+def simulate_blocks(states: DataFrame, edges: DataFrame, capacity: DataFrame, owners: DataFrame, steps: int, hops: int, root: str, seed: int | None = None, qmax: int = 1 << 30) -> DataFrame:
+    """The network's next states step, v, n (steps 0..steps) from states (v, n), block by block.
+
+    Every block holds its vertices and those within `hops` edges, and runs `hops` steps alone: what the rim gets
+    wrong moves one edge a step and does not reach the core. Then cores are written and halos filled anew. Draws
+    belong to (src, dst, step), so all replicas of an edge draw the same; without a seed nothing is thinned.
+    """
+    degrees = edges.join(edges.groupBy("src").agg(F.count(F.lit(1)).alias("od")), "src").join(edges.groupBy("dst").agg(F.count(F.lit(1)).alias("ig")), "dst")
+    gblocks = scratch.stash(hop_blocks(edges, owners, hops), f"{root}/members")
+    inside = scratch.stash(block_edges(degrees, gblocks).join(degrees, ["src", "dst"]), f"{root}/edges")
+    schema = "step int, v int, n bigint"
+    now = scratch.stash(states.select(F.lit(0).alias("step"), F.col("v").cast("int").alias("v"), F.col("n").cast("bigint").alias("n")), f"{root}/step-0")
+    out, done = now, 0
+    while done < steps:
+        k = min(hops, steps - done)
+        last = now.where(F.col("step") == done).select("v", "n")
+        held = gblocks.select("gblk", "v", "is_core").join(last, "v").join(capacity, "v")
+        draws = [F.lit(1.0) if seed is None else uniform(seed, F.col("src"), F.col("dst"), F.lit(done + s)) for s in range(k)]
+        wires = inside.select("gblk", "src", "dst", "od", "ig", F.array(*draws).alias("draw"))
+
+        def run(cells: pa.Table, wires: pa.Table, k=k, done=done) -> pa.Table:
+            v, n = cells.column("v").to_numpy(), cells.column("n").to_numpy().astype(np.int64)
+            core, cap = cells.column("is_core").to_numpy(zero_copy_only=False).astype(bool), cells.column("cap").to_numpy()
+            order = np.argsort(v)
+            v, n, core, cap = v[order], n[order], core[order], cap[order]
+            src, dst, od, ig = (wires.column(c).to_numpy() for c in ("src", "dst", "od", "ig"))
+            both = np.isin(src, v) & np.isin(dst, v)
+            a, b, od, ig = np.searchsorted(v, src[both]), np.searchsorted(v, dst[both]), od[both], ig[both]
+            draw = wires.column("draw").combine_chunks().flatten().to_numpy().reshape(-1, k)[both] if len(src) else np.zeros((0, k))
+            parts = []
+            for s in range(k):
+                flow = np.maximum(0, np.minimum(np.minimum(n[a], qmax) // od, (cap[b] - n[b]) // ig))
+                flow = flow if seed is None else np.floor(flow * draw[:, s]).astype(np.int64)
+                n = n - np.bincount(a, flow, len(v)).astype(np.int64) + np.bincount(b, flow, len(v)).astype(np.int64)
+                parts.append(pa.table({"step": pa.array(np.full(int(core.sum()), done + s + 1), pa.int32()), "v": pa.array(v[core], pa.int32()), "n": pa.array(n[core], pa.int64())}))
+            return pa.concat_tables(parts)
+
+        now = scratch.stash(held.groupBy("gblk").cogroup(wires.groupBy("gblk")).applyInArrow(run, schema), f"{root}/step-{done + 1}")
+        out, done = out.unionByName(now), done + k
+    return out
+
+
+def network_kernel(fn: Callable[[float, np.ndarray], float], min_parents: int = 0):
+    """A sparse dynamic network as a block kernel: fn(own last state, parents' last states) for every core (v, idx) that has them."""
+
+    def kernel(v, idx, core, x, dist):
+        out = {"v": [], "idx": [], "y": []}
+        parents = [np.flatnonzero(dist[:, k] == 1) for k in range(len(v))]
+        for t, k in np.argwhere(core):
+            if t and idx[t] - idx[t - 1] == 1 and len(parents[k]) >= min_parents and not np.isnan(x[t - 1, [k, *parents[k]]]).any():
+                out["v"].append(v[k]), out["idx"].append(idx[t]), out["y"].append(fn(x[t - 1, k], x[t - 1, parents[k]]))
+        return {"v": np.array(out["v"], np.int32), "idx": np.array(out["idx"], np.int64), "y": np.array(out["y"], np.float64)}
+
+    return kernel
+
+
+def dbn(cross: DataFrame, edges_in: DataFrame, fn: Callable[[float, np.ndarray], float], halo: tuple[int, int]) -> DataFrame:
+    """Forecast v, idx, y of a dynamic network in which a vertex depends on itself and its parents one step earlier."""
+    return map_blocks(cross, edges_in, network_kernel(fn), "v int, idx bigint, y double", (1, 1), halo)

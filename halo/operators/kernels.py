@@ -2,6 +2,10 @@
 
 A kernel gets (index, core mask, matrix) of a block, sorted by index, and knows nothing of partitions:
 the same function serves one serial block, Arrow groups and micro-batches.
+
+Defined results: a datum whose index or vector is null, or that holds a null, NaN or infinite component, is
+absent, like a gap of the series; two data of one index in a block raise RepeatedIndex, vectors of different
+lengths ValueError.
 """
 
 from __future__ import annotations
@@ -10,6 +14,7 @@ from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
@@ -17,6 +22,10 @@ from pyspark.sql.types import _parse_datatype_string
 
 from halo.operators.blocks import HaloTooShort
 
+class RepeatedIndex(ValueError):
+    """Pairs by lag are not defined where an index has two data."""
+
+
 Kernel = Callable[[np.ndarray, np.ndarray, np.ndarray], dict[str, np.ndarray]]
 
 
@@ -26,12 +35,31 @@ def check_reach(reach: int, halo: int) -> None:
 
 
 def unpack(table: pa.Table, on: str = "idx") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    there = pc.and_(pc.is_valid(table.column(on)), pc.is_valid(table.column("x")))
+    if not pc.all(there).as_py():
+        table = table.filter(there)
     idx = table.column(on).to_numpy()
     core = table.column("is_core").to_numpy(zero_copy_only=False) if "is_core" in table.column_names else np.ones(len(idx), bool)
     x = table.column("x").combine_chunks()
-    m = x.flatten().to_numpy(zero_copy_only=False).reshape(len(idx), -1) if len(idx) else np.zeros((0, 0))
+    if len(idx) and len(set(np.diff(x.offsets.to_numpy()).tolist())) > 1:
+        raise ValueError("vectors of different lengths")
+    m = x.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(idx), -1) if len(idx) else np.zeros((0, 0))
+    finite = np.isfinite(m).all(axis=1)
+    if not finite.all():
+        idx, core, m = idx[finite], core[finite], m[finite]
     order = np.argsort(idx, kind="stable")
-    return idx[order], core[order].astype(bool), np.asarray(m, np.float64)[order]
+    idx = idx[order]
+    if (np.diff(idx) == 0).any():
+        raise RepeatedIndex(f"index {int(idx[np.flatnonzero(np.diff(idx) == 0)[0]])} has several data")
+    return idx, core[order].astype(bool), m[order]
+
+
+def partner(idx: np.ndarray, at: np.ndarray, lag: int) -> tuple[np.ndarray, np.ndarray]:
+    """Those positions `at` whose datum `lag` steps on exists, and its position; gaps of the index are allowed."""
+    where = np.searchsorted(idx, idx[at] + lag)
+    found = where < len(idx)
+    found[found] = idx[where[found]] == idx[at][found] + lag
+    return at[found], where[found]
 
 
 def map_groups(blocks: DataFrame, kernel: Kernel, schema: str, on: str = "idx", by: tuple[str, ...] = ("block",)) -> DataFrame:

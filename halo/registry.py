@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import math
-import uuid
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -15,6 +14,7 @@ from halo.models import banded, fit, likelihood, moments, predict
 from halo.models.process import Process, noise
 from halo.operators import blocks as lay
 from halo.operators import difference, graph, grid, irregular, kernels, space
+from halo.plans.scratch import folder
 from halo.sources.ingest import micros, read
 from halo.streaming import stream
 
@@ -33,11 +33,11 @@ def query(name: str, sql: str | None = None):
 
 
 def blocks_e(spark, d, size=48, left=3, right=3) -> DataFrame:
-    return lay.time_blocks(grid.to_wide(series.events(spark, d), series.D_E), size, left, right)
+    return lay.time_blocks(grid.to_wide(series.events(spark, d), series.D_E), size, left, right, bounds=(0, series.N_E - 1))
 
 
 def blocks_o(spark, d, size=128, left=3, right=3) -> DataFrame:
-    return lay.time_blocks(series.orders(spark, d, 0), size, left, right)
+    return lay.time_blocks(series.orders(spark, d, 0), size, left, right, bounds=(0, series.N_O - 1))
 
 
 def moments_e(spark, d, H=3):
@@ -54,8 +54,7 @@ def lag_frame(spark, g) -> DataFrame:
 
 
 def scratch(spark) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/halo-scratch"
-    return f"{base.rstrip('/')}/engine-{uuid.uuid4().hex}"
+    return folder(spark)
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:
@@ -556,11 +555,29 @@ def _(spark, d):
     return spark.createDataFrame([("conditional", float(likelihood.newton(m, n)[0, 0])), ("unconditional", float(model.a[0][0, 0])), ("loglik", float(ll))], "name string, value double")
 
 
+def supplier_sql(b: str) -> str:
+    """Suppliers on the grid of all days, their means over it, and pairs of days."""
+    return f"""WITH s0 AS (SELECT CAST((epoch_us(l_shipdate) - {series.JAN_1995 + series.DAY}) // {series.DAY} AS BIGINT) AS idx, CAST(l_suppkey AS INTEGER) AS dim, count(*) AS v FROM lineitem GROUP BY 1, 2),
+ gr AS (SELECT CAST(a.i AS BIGINT) AS idx, d.dim, CAST(coalesce(s0.v, 0) AS DOUBLE) AS v FROM range({series.N_L}) a(i) CROSS JOIN (SELECT DISTINCT dim FROM s0) d LEFT JOIN s0 ON s0.idx = a.i AND s0.dim = d.dim),
+ c AS (SELECT idx, dim, v - avg(v) OVER (PARTITION BY dim) AS z FROM gr) {b}"""
+
+
+def _suppliers(spark, d):
+    long = series.supplier_days(spark, d)
+    return long, (long.agg(F.max("dim").alias("m")).head().m or 0) + 1
+
+
+@query("banded_fit_suppliers_diag", supplier_sql("SELECT a.dim AS i, a.dim AS j, round(sum(a.z * b.z) / sum(a.z * a.z), 8) AS value FROM c a JOIN c b ON b.dim = a.dim AND b.idx = a.idx + 1 GROUP BY 1"))
+def _(spark, d):
+    long, n = _suppliers(spark, d)
+    got = banded.fit_sums(long, series.N_L, n, 0, max(2, n // 25)).where("sigma2 > 0")
+    return got.select("i", "j", F.round("value", 8).alias("value"))
+
+
 @query("banded_fit_suppliers")
 def _(spark, d):
-    long = series.supplier_days(spark, d)
-    n = (long.agg(F.max("dim").alias("m")).head().m or 0) + 1
-    return banded.fit(grid.to_wide(long, n), n, 1, max(2, n // 25)) if n <= 64 else banded.fit(grid.to_wide(long, n), n, 1, n // 25)
+    long, n = _suppliers(spark, d)
+    return banded.fit_sums(long, series.N_L, n, 1, max(2, n // 25))
 
 
 @query("banded_fit_shared")

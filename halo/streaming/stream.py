@@ -34,8 +34,8 @@ def dedup(df: DataFrame, key: str, ts: str, delay: str) -> DataFrame:
 
 
 def score(df: DataFrame, model: DataFrame, on: str) -> DataFrame:
-    """A stream joined with a small static table of parameters."""
-    return df.join(F.broadcast(model), on)
+    """A stream joined with a static table of parameters (Spark broadcasts it where its size allows)."""
+    return df.join(model, on)
 
 
 def interval_join(left: DataFrame, right: DataFrame, key: str, within: str) -> DataFrame:
