@@ -67,7 +67,8 @@ def lag_tiles(blocks: DataFrame, max_lag: int, halo: int, tile: int = 128) -> Da
     """
     kernels.check_reach(max_lag, halo)
     schema = "lag int, ti int, tj int, n double, s binary, u binary, v binary"
-    names = ["lag", "ti", "tj", "n", "s", "u", "v"]
+    target = to_arrow_schema(_parse_datatype_string(schema))
+    names = target.names
 
     def kernel(table: pa.Table) -> pa.Table:
         idx, core, x = kernels.unpack(table)
@@ -80,7 +81,7 @@ def lag_tiles(blocks: DataFrame, max_lag: int, halo: int, tile: int = 128) -> Da
                 for q in cuts:
                     y, z = left[:, p : p + tile], right[:, q : q + tile]
                     rows.append((h, p // tile, q // tile, float(len(a)), (y.T @ z).tobytes(), y.sum(axis=0).tobytes(), z.sum(axis=0).tobytes()))
-        return pa.table([pa.array(c) for c in zip(*rows)] if rows else [pa.array([])] * 7, names).cast(to_arrow_schema(_parse_datatype_string(schema)))
+        return pa.table([pa.array(c) for c in zip(*rows)] if rows else [pa.array([])] * 7, names).cast(target)
 
     def added(tables) -> dict:
         total: dict[tuple, list] = {}
@@ -94,8 +95,7 @@ def lag_tiles(blocks: DataFrame, max_lag: int, halo: int, tile: int = 128) -> Da
 
     def batch(total: dict) -> pa.RecordBatch:
         rows = [(*k, v[0], *(np.asarray(m).tobytes() for m in v[1:])) for k, v in total.items()]
-        kinds = to_arrow_schema(_parse_datatype_string(schema)).types
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names)
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), target.types)], names)
 
     def combine(batches):
         total = added(batches)

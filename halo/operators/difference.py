@@ -48,6 +48,14 @@ def frac(blocks: DataFrame, delta: float, width: int, col: str = "v") -> DataFra
     return blocks.withColumn("y", total).where("is_core and y is not null").select("idx", "y")
 
 
+def fir(blocks: DataFrame, weights: list[float], col: str = "v") -> DataFrame:
+    """Weighted sums of the last len(weights) values, newest first: idx, y, where all of them exist in the block."""
+    total = F.lit(0.0)
+    for k, w in enumerate(weights):
+        total = total + (lagged(blocks, col, k) if k else F.col(col)).cast("double") * F.lit(float(w))
+    return blocks.withColumn("y", total).where("is_core and y is not null").select("idx", "y")
+
+
 def frac_tail(delta: float, width: int, far: int = 100_000) -> float:
     """Mass of the weights that truncation drops (those up to `far`)."""
     return sum(abs(x) for x in frac_weights(delta, far)[width + 1 :])

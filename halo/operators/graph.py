@@ -71,18 +71,6 @@ def check_reach(hops: int, halo: int) -> None:
         raise HaloTooShort(f"kernel reaches {hops} hops, halo holds {halo}")
 
 
-def hop_pairs(sources: DataFrame, edges_in: DataFrame, hops: int) -> DataFrame:
-    """gblk, a, b, hop: what each of `sources` (gblk, a) reaches within `hops` directed edges of its block, at its least distance."""
-    nxt = edges_in.select("gblk", F.col("src").alias("b"), F.col("dst").alias("c")).distinct()
-    seen = sources.select("gblk", "a", F.col("a").alias("b"), F.lit(0).alias("hop"))
-    front = seen
-    for k in range(1, hops + 1):
-        reached = front.join(nxt, ["gblk", "b"]).select("gblk", "a", F.col("c").alias("b")).distinct()
-        front = reached.join(seen.select("gblk", "a", "b"), ["gblk", "a", "b"], "left_anti").withColumn("hop", F.lit(k))
-        seen = seen.unionByName(front)
-    return seen
-
-
 def pair_sums(cross: DataFrame, edges_in: DataFrame, lags: int, reach: int = 1, hops: int = 1, halo: int | None = None) -> DataFrame:
     """Sums of x_t^v x_{t+h}^u over vertices u that are 0..hops directed edges from v: h, hop, n, s.
 
@@ -105,33 +93,62 @@ def pair_sums(cross: DataFrame, edges_in: DataFrame, lags: int, reach: int = 1,
     return got.where("n > 0").select("h", "hop", "n", F.col("s").cast(kind).alias("s"))
 
 
+#: Edges of all blocks up to this many travel with the kernel; more are brought to the blocks by a cogroup.
+CLOSURE_EDGES = 200_000
+
+
+def distances(v: np.ndarray, src: np.ndarray, dst: np.ndarray, own: np.ndarray, hops: int) -> np.ndarray:
+    """Directed distances up to `hops` between vertices v (sorted) of which one end is `own`, else -1."""
+    there = np.isin(src, v) & np.isin(dst, v)
+    step = np.zeros((len(v), len(v)), bool)
+    step[np.searchsorted(v, src[there]), np.searchsorted(v, dst[there])] = True
+    dist = np.where(np.eye(len(v), dtype=bool), 0, -1)
+    front = np.eye(len(v), dtype=bool)
+    for k in range(1, hops + 1):
+        front = ((front.astype(np.float32) @ step.astype(np.float32)) > 0) & (dist < 0)
+        dist[front] = k
+    dist[~(own[:, None] | own[None, :])] = -1
+    return dist
+
+
 def map_blocks(cross: DataFrame, edges_in: DataFrame, kernel: Kernel, schema: str, order: tuple[int, int], halo: tuple[int, int]) -> DataFrame:
     """One call of kernel(v, idx, core, x, dist) for each (time, graph) block; its arrays become rows.
 
     x[t, k] is the state of v[k] at idx[t], NaN where absent; core marks what the block owns; dist[a, b] is the
-    directed distance where it is at most K and one end is core, else -1. `order` is the kernel's (H, K).
+    directed distance where it is at most K and one end is core, else -1. `order` is the kernel's (H, K). Paths are
+    followed inside the block, from its edges (gblk, src, dst): states are not exchanged again.
     """
     check_lag(order[0], halo[0])
     check_reach(order[1], halo[1])
     target = to_arrow_schema(_parse_datatype_string(schema))
-    own = cross.where("g_core").select("gblk", F.col("v").alias("a")).distinct()
-    back = edges_in.select("gblk", F.col("dst").alias("src"), F.col("src").alias("dst"))
-    pairs = hop_pairs(own, edges_in, order[1]).unionByName(hop_pairs(own, back, order[1]).select("gblk", F.col("b").alias("a"), F.col("a").alias("b"), "hop"))
-    tiles = cross.select("tblk", "gblk").distinct().join(pairs, "gblk").withColumnsRenamed({"tblk": "t", "gblk": "g"})
+    wires = edges_in.select("gblk", "src", "dst")
 
-    def run(states: pa.Table, near: pa.Table) -> pa.Table:
+    def result(states: pa.Table, src: np.ndarray, dst: np.ndarray) -> pa.Table:
         at, t = states.column("v").to_numpy(), states.column("idx").to_numpy()
         v, idx = np.unique(at), np.unique(t)
         place = np.searchsorted(idx, t), np.searchsorted(v, at)
-        x, core, dist = np.full((len(idx), len(v)), np.nan), np.zeros((len(idx), len(v)), bool), np.full((len(v), len(v)), -1)
+        x, core, own = np.full((len(idx), len(v)), np.nan), np.zeros((len(idx), len(v)), bool), np.zeros(len(v), bool)
         x[place] = states.column("x").to_numpy()
-        core[place] = states.column("t_core").to_numpy(zero_copy_only=False) & states.column("g_core").to_numpy(zero_copy_only=False)
-        a, b, hop = (near.column(c).to_numpy() for c in ("a", "b", "hop"))
-        there = np.isin(a, v) & np.isin(b, v)
-        dist[np.searchsorted(v, a[there]), np.searchsorted(v, b[there])] = hop[there]
-        return pa.table({k: pa.array(c) for k, c in kernel(v, idx, core, x, dist).items()}).cast(target)
+        mine = states.column("g_core").to_numpy(zero_copy_only=False).astype(bool)
+        core[place] = states.column("t_core").to_numpy(zero_copy_only=False).astype(bool) & mine
+        own[place[1][mine]] = True
+        return pa.table({k: pa.array(c) for k, c in kernel(v, idx, core, x, distances(v, src, dst, own, order[1])).items()}).cast(target)
 
-    return cross.groupBy("tblk", "gblk").cogroup(tiles.groupBy("t", "g")).applyInArrow(run, schema)
+    few = wires.limit(CLOSURE_EDGES + 1).toArrow()
+    if few.num_rows <= CLOSURE_EDGES:
+        gblk, src, dst = (few.column(c).to_numpy() for c in ("gblk", "src", "dst"))
+
+        def run(keys: tuple[pa.Scalar, ...], states: pa.Table) -> pa.Table:
+            here = gblk == keys[1].as_py()
+            return result(states, src[here], dst[here])
+
+        return cross.groupBy("tblk", "gblk").applyInArrow(run, schema)
+
+    def run_far(states: pa.Table, near: pa.Table) -> pa.Table:
+        return result(states, near.column("src").to_numpy(), near.column("dst").to_numpy()) if states.num_rows else target.empty_table()
+
+    tiles = cross.select("tblk", "gblk").distinct().join(wires, "gblk").withColumnsRenamed({"tblk": "t", "gblk": "g"})
+    return cross.groupBy("tblk", "gblk").cogroup(tiles.groupBy("t", "g")).applyInArrow(run_far, schema)
 
 
 def map_reduce(cross: DataFrame, edges_in: DataFrame, kernel: Kernel, schema: str, keys: tuple[str, ...], sums: tuple[str, ...], order: tuple[int, int], halo: tuple[int, int]) -> DataFrame:
@@ -217,6 +234,29 @@ def simulate(states: dict[int, int], edges: list[tuple[int, int]], cap: dict[int
     return out
 
 
+def _steps(k: int, done: int, qmax: int, thinned: bool):
+    """k steps of a block and its halo; the states of its core after each."""
+
+    def run(cells: pa.Table, wires: pa.Table) -> pa.Table:
+        v, n = cells.column("v").to_numpy(), cells.column("n").to_numpy().astype(np.int64)
+        core, cap = cells.column("is_core").to_numpy(zero_copy_only=False).astype(bool), cells.column("cap").to_numpy()
+        order = np.argsort(v)
+        v, n, core, cap = v[order], n[order], core[order], cap[order]
+        src, dst, od, ig = (wires.column(c).to_numpy() for c in ("src", "dst", "od", "ig"))
+        both = np.isin(src, v) & np.isin(dst, v)
+        a, b, od, ig = np.searchsorted(v, src[both]), np.searchsorted(v, dst[both]), od[both], ig[both]
+        draw = wires.column("draw").combine_chunks().flatten().to_numpy().reshape(-1, k)[both] if len(src) else np.zeros((0, k))
+        parts = []
+        for s in range(k):
+            flow = np.maximum(0, np.minimum(np.minimum(n[a], qmax) // od, (cap[b] - n[b]) // ig))
+            flow = np.floor(flow * draw[:, s]).astype(np.int64) if thinned else flow
+            n = n - np.bincount(a, flow, len(v)).astype(np.int64) + np.bincount(b, flow, len(v)).astype(np.int64)
+            parts.append(pa.table({"step": pa.array(np.full(int(core.sum()), done + s + 1), pa.int32()), "v": pa.array(v[core], pa.int32()), "n": pa.array(n[core], pa.int64())}))
+        return pa.concat_tables(parts)
+
+    return run
+
+
 def simulate_blocks(states: DataFrame, edges: DataFrame, capacity: DataFrame, owners: DataFrame, steps: int, hops: int, root: str, seed: int | None = None, qmax: int = 1 << 30) -> DataFrame:
     """The network's next states step, v, n (steps 0..steps) from states (v, n), block by block.
 
@@ -237,24 +277,7 @@ def simulate_blocks(states: DataFrame, edges: DataFrame, capacity: DataFrame, ow
         draws = [F.lit(1.0) if seed is None else uniform(seed, F.col("src"), F.col("dst"), F.lit(done + s)) for s in range(k)]
         wires = inside.select("gblk", "src", "dst", "od", "ig", F.array(*draws).alias("draw"))
 
-        def run(cells: pa.Table, wires: pa.Table, k=k, done=done) -> pa.Table:
-            v, n = cells.column("v").to_numpy(), cells.column("n").to_numpy().astype(np.int64)
-            core, cap = cells.column("is_core").to_numpy(zero_copy_only=False).astype(bool), cells.column("cap").to_numpy()
-            order = np.argsort(v)
-            v, n, core, cap = v[order], n[order], core[order], cap[order]
-            src, dst, od, ig = (wires.column(c).to_numpy() for c in ("src", "dst", "od", "ig"))
-            both = np.isin(src, v) & np.isin(dst, v)
-            a, b, od, ig = np.searchsorted(v, src[both]), np.searchsorted(v, dst[both]), od[both], ig[both]
-            draw = wires.column("draw").combine_chunks().flatten().to_numpy().reshape(-1, k)[both] if len(src) else np.zeros((0, k))
-            parts = []
-            for s in range(k):
-                flow = np.maximum(0, np.minimum(np.minimum(n[a], qmax) // od, (cap[b] - n[b]) // ig))
-                flow = flow if seed is None else np.floor(flow * draw[:, s]).astype(np.int64)
-                n = n - np.bincount(a, flow, len(v)).astype(np.int64) + np.bincount(b, flow, len(v)).astype(np.int64)
-                parts.append(pa.table({"step": pa.array(np.full(int(core.sum()), done + s + 1), pa.int32()), "v": pa.array(v[core], pa.int32()), "n": pa.array(n[core], pa.int64())}))
-            return pa.concat_tables(parts)
-
-        now = scratch.stash(held.groupBy("gblk").cogroup(wires.groupBy("gblk")).applyInArrow(run, schema), f"{root}/step-{done + 1}")
+        now = scratch.stash(held.groupBy("gblk").cogroup(wires.groupBy("gblk")).applyInArrow(_steps(k, done, qmax, seed is not None), schema), f"{root}/step-{done + 1}")
         out, done = out.unionByName(now), done + k
     return out
 

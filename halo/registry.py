@@ -599,16 +599,6 @@ def _(spark, d):
     return out
 
 
-@query("gof_report")
-def _(spark, d):
-    m = moments_o(spark, d, 3)
-    g = m.autocov("n")
-    model = fit.yule_walker(g, 2)
-    wide = series.orders(spark, d, 0).select("idx", F.array(F.col("v").cast("double")).alias("x"))
-    res = fit.residuals(lay.time_blocks(wide, 256, 2, 0), model, m.mean)
-    return spark.createDataFrame([(k, float(v)) for k, v in fit.summary(res, model, np.diag(g[0])).items()], "name string, value double")
-
-
 @query("estimator_variance")
 def _(spark, d):
     rows = []
@@ -630,18 +620,16 @@ def _(spark, d):
     return measures.table(spark, rows)
 
 
-@query("prediction_intervals")
-def _(spark, d):
-    m = moments_o(spark, d, 2)
-    model = fit.yule_walker(m.autocov("n"), 2)
-    wide = series.orders(spark, d, 0).select("idx", F.array(F.col("v").cast("double")).alias("x"))
-    f = predict.one_step(lay.time_blocks(wide, 256, 2, 0), model, m.mean, 2)
-    return predict.with_interval(f, predict.variance(model, 1)[0])
+def _load() -> None:
+    """The modules that add their queries to this registry."""
+    from halo import surrounding, workloads  # noqa: F401
 
 
 def queries() -> dict:
+    _load()
     return dict(ALL)
 
 
 def oracle_sql() -> dict[str, str]:
+    _load()
     return dict(SQL)

@@ -62,6 +62,19 @@ def supplier_days(spark, d):
     return grid.regular(li, SeriesSpec("l_shipdate", DAY, JAN_1995 + DAY), F.col("l_suppkey"))
 
 
+def users(spark, d):
+    """Events per hour and user group."""
+    ev = read(spark, d, "events", ["ts", "user_id"])
+    return grid.dense(grid.regular(ev, SeriesSpec("ts", HOUR, JAN_2024), (F.col("user_id") % 16).cast("int")), N_E, 16)
+
+
+def cents(spark, d):
+    """Value in cents per hour and type."""
+    ev = read(spark, d, "events", ["ts", "event_type", "value"])
+    spec = SeriesSpec("ts", HOUR, JAN_2024, how="sum")
+    return grid.dense(grid.regular(ev, spec, position(F.col("event_type"), TYPES), F.round(F.col("value") * 100).cast("bigint")), N_E, D_E)
+
+
 def vectors(spark, d):
     return read(spark, d, "embeddings", ["vec_id", "embedding"]).select(F.col("vec_id").alias("idx"), F.transform("embedding", lambda x: x.cast("double")).alias("x"))
 
@@ -69,6 +82,12 @@ def vectors(spark, d):
 SQL_E = f"""
  se0 AS (SELECT CAST((epoch_us(ts) - {JAN_2024}) // {HOUR} AS BIGINT) AS idx, CAST(CASE event_type WHEN 'click' THEN 0 WHEN 'error' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END AS INTEGER) AS dim, count(*) AS v FROM events GROUP BY 1, 2),
  se AS (SELECT CAST(a.i AS BIGINT) AS idx, CAST(b.j AS INTEGER) AS dim, CAST(coalesce(se0.v, 0) AS BIGINT) AS v FROM range({N_E}) a(i) CROSS JOIN range({D_E}) b(j) LEFT JOIN se0 ON se0.idx = a.i AND se0.dim = b.j)"""
+SQL_U = f"""
+ su0 AS (SELECT CAST((epoch_us(ts) - {JAN_2024}) // {HOUR} AS BIGINT) AS idx, CAST(user_id % 16 AS INTEGER) AS dim, count(*) AS v FROM events GROUP BY 1, 2),
+ su AS (SELECT CAST(a.i AS BIGINT) AS idx, CAST(b.j AS INTEGER) AS dim, CAST(coalesce(su0.v, 0) AS BIGINT) AS v FROM range({N_E}) a(i) CROSS JOIN range(16) b(j) LEFT JOIN su0 ON su0.idx = a.i AND su0.dim = b.j)"""
+SQL_EV = f"""
+ sv0 AS (SELECT CAST((epoch_us(ts) - {JAN_2024}) // {HOUR} AS BIGINT) AS idx, CAST(CASE event_type WHEN 'click' THEN 0 WHEN 'error' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END AS INTEGER) AS dim, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS v FROM events GROUP BY 1, 2),
+ sv AS (SELECT CAST(a.i AS BIGINT) AS idx, CAST(b.j AS INTEGER) AS dim, CAST(coalesce(sv0.v, 0) AS BIGINT) AS v FROM range({N_E}) a(i) CROSS JOIN range({D_E}) b(j) LEFT JOIN sv0 ON sv0.idx = a.i AND sv0.dim = b.j)"""
 SQL_L = f"""
  sl0 AS (SELECT CAST((epoch_us(l_shipdate) - {JAN_1995 + DAY}) // {DAY} AS BIGINT) AS idx, CAST(CASE l_returnflag || l_linestatus WHEN 'AF' THEN 0 WHEN 'AO' THEN 1 WHEN 'NF' THEN 2 WHEN 'NO' THEN 3 WHEN 'RF' THEN 4 ELSE 5 END AS INTEGER) AS dim, count(*) AS v FROM lineitem GROUP BY 1, 2),
  sl AS (SELECT CAST(a.i AS BIGINT) AS idx, CAST(b.j AS INTEGER) AS dim, CAST(coalesce(sl0.v, 0) AS BIGINT) AS v FROM range({N_L}) a(i) CROSS JOIN range({D_L}) b(j) LEFT JOIN sl0 ON sl0.idx = a.i AND sl0.dim = b.j)"""

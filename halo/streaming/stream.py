@@ -24,9 +24,11 @@ def sessions(df: DataFrame, ts: str, gap: str, *keys: str) -> DataFrame:
     return df.groupBy(F.session_window(ts, gap), *keys).agg(F.count(F.lit(1)).alias("v"))
 
 
-def late_policy(df: DataFrame, ts: str, delay: str) -> DataFrame:
-    """Rows later than the watermark leave windowed state; progress metrics count them."""
-    return df.withWatermark(ts, delay)
+def late_report(live: DataFrame, ts: str, step: str, delay: str, fed: DataFrame, path: str, checkpoint: str) -> DataFrame:
+    """Rows fed to a windowed count, rows it kept, and rows that came after the watermark and were left out: fed, kept, late."""
+    got = run(grid(live, ts, step, delay), path, checkpoint, "update")
+    last = got.groupBy("window").agg(F.max("v").alias("v")).agg(F.sum("v").alias("kept"))
+    return fed.agg(F.count(F.lit(1)).alias("fed")).crossJoin(last).select("fed", "kept", (F.col("fed") - F.col("kept")).alias("late"))
 
 
 def dedup(df: DataFrame, key: str, ts: str, delay: str) -> DataFrame:

@@ -10,7 +10,7 @@ from halo import registry
 
 duckdb = pytest.importorskip("duckdb")
 TABLES = "region nation customer supplier part orders lineitem events embeddings conversations".split()
-QUICK = ["grid_zero_fill", "time_unit_blocks", "autocov_events_exact", "lag_gram_events", "ar2_yule_walker", "ma1_innovations_depth2", "arma_predict_fixed", "banded_predict_embeddings", "irregular_window_1h", "mesh_stencil", "hop_membership", "traffic_one_step", "asof_orders"]
+QUICK = ["grid_zero_fill", "time_unit_blocks", "autocov_events_exact", "lag_gram_events", "ar2_yule_walker", "ma1_innovations_depth2", "arma_predict_fixed", "banded_predict_embeddings", "irregular_window_1h", "mesh_stencil", "hop_membership", "traffic_one_step", "asof_orders", "append_layout", "stored_block_range", "truth_series", "ma_depth_sweep", "integration_order", "arma_blocks_truth", "arma_stream_truth", "prediction_intervals", "gof_report", "graph_autocov_k2", "network_residuals", "traffic_simulate_blocks", "cross_membership", "autocov_users_h24", "banded_fit_suppliers_diag", "stream_late_rows", "stream_interval_join", "sql_surface", "udaf_panel_lag", "udf_norm", "layout_comparison"]
 
 
 @pytest.fixture(scope="module")
