@@ -10,8 +10,9 @@ Feistel network on index pairs with cycle walking: nothing is stored or sorted).
 joined by (source, block index).
 
 Positions of documents in their source come from (source, bucket) totals and running sums inside each
-bucket, so a source with a third of all rows is spread over BUCKETS tasks. The driver holds one row a
-source and one a (shard, source).
+bucket; a bucket holds BUCKET_ROWS rows of all sources on average, so a source with a third of all rows is
+spread over as many tasks as its size asks for. Blocks and their uses meet by a shuffle at every size. The
+driver holds one row a source and one a (shard, source).
 
 Defined results: null text has size 0 and is never taken; a null source is a source of its own, last in
 order; rows that repeat an id are mixed each; an empty table gives an empty result; other columns are
@@ -30,7 +31,7 @@ from pyspark.sql import functions as F
 
 from halo.llm.common import WORD_PATTERN, fresh_name, scratch_root, shuffle_partitions, stash, stash_rows
 
-BUCKETS = 128
+LEAST_BUCKETS, BUCKET_ROWS = 128, 100_000
 CHUNK = 65_536
 
 
@@ -126,11 +127,11 @@ class Mix:
         return self.slots.groupBy("sidx", "block").agg(F.count(F.lit(1)).alias("uses"))
 
     def spans(self) -> DataFrame:
-        return self.blocks().join(self.uses(), ["sidx", "block"], "left").withColumn("uses", F.coalesce("uses", F.lit(0)))
+        return self.blocks().join(self.uses().hint("merge"), ["sidx", "block"], "left").withColumn("uses", F.coalesce("uses", F.lit(0)))
 
     def output(self) -> DataFrame:
         """The mixed corpus as spans: shard, slot, doc_id, first word, number of words."""
-        return self.slots.join(self.blocks(), ["sidx", "block"]).select("shard", "slot", "doc_id", "content", "first", "words")
+        return self.slots.join(self.blocks().hint("merge"), ["sidx", "block"]).select("shard", "slot", "doc_id", "content", "first", "words")
 
     def taken(self) -> DataFrame:
         """Per document: doc_id, size, source_size, target, taken."""
@@ -160,8 +161,9 @@ def mix(docs: DataFrame, config: MixConfig = MixConfig(), text_col: str = "text"
     spark, root = docs.sparkSession, scratch_root(docs.sparkSession)
     text = F.col(text_col).cast("string")
     base = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(source_col).cast("string").alias("source"), word_count(text).alias("size"), F.xxhash64(text).alias("content"))
-    base = base.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "content", F.lit(config.seed)), F.lit(BUCKETS)).cast("int"))
-    sized = stash(base, f"{root}/sized")
+    written = stash(base, f"{root}/sized")
+    buckets = max(LEAST_BUCKETS, -(-written.count() // BUCKET_ROWS))
+    sized = written.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "content", F.lit(config.seed)), F.lit(buckets)).cast("int"))
     totals = stash(sized.groupBy("source", "bucket").agg(F.sum("size").alias("n")), f"{root}/totals")
     found = sorted(((r.source, r.n) for r in totals.groupBy("source").agg(F.sum("n").alias("n")).collect()), key=lambda r: (r[0] is None, (r[0] or "").encode()))
     sizes = [n for _, n in found]
@@ -207,7 +209,7 @@ def mixed_texts(docs: DataFrame, mixed: Mix, text_col: str = "text", id_col: str
     plain = docs.withColumn(content, F.xxhash64(F.col(text_col).cast("string")))
     if not mixed.rows.groupBy("doc_id", "content").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
         plain = plain.dropDuplicates([id_col, content])
-    both = plain.join(named, F.col(id_col).cast("bigint").eqNullSafe(F.col(own_id)) & (F.col(content) == F.col(own_key)))
+    both = plain.join(named.hint("merge"), F.col(id_col).cast("bigint").eqNullSafe(F.col(own_id)) & (F.col(content) == F.col(own_key)))
     at = names.index(text_col)
     has_chars = "n_chars" in names
     pattern = WORD_PATTERN
