@@ -2,12 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from halo.plans import scratch
+
 # The letters folded by ASCII-only lower-casing, and the separators of words.
 ASCII_UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 ASCII_LOWER = "abcdefghijklmnopqrstuvwxyz"
@@ -15,13 +14,8 @@ WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """A new folder below spark.checkpoint.dir; a local one only where that setting is absent."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
-        base = tempfile.gettempdir() + "/halo-scratch"
-    return f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
+    """A new folder below spark.checkpoint.dir, deleted when the driver's JVM ends; a local one only for a local master without that setting."""
+    return scratch.folder(spark, "llm")
 
 
 def stash(df: DataFrame, path: str, compression: str = "snappy") -> DataFrame:
