@@ -41,6 +41,7 @@ PASSAGE = 48
 GRAMS = (3, 4, 5, 6)
 WORD = re.compile(r"[^\W_]+")
 CACHE_WORDS = 200_000
+STRETCH = 1 << 18
 
 
 def ngram_buckets(words: list[str], buckets: int = BUCKETS) -> tuple[np.ndarray, np.ndarray]:
@@ -99,18 +100,32 @@ class SubwordModel:
         return 1.0 / (1.0 + np.exp(-np.clip(out, -60, 60)))
 
 
+def _all_ngrams(words: list[str], buckets: int) -> tuple[np.ndarray, np.ndarray]:
+    """ngram_buckets of many words, part by part, in 32-bit integers."""
+    whose, where = [], []
+    for k in range(0, len(words), 10_000):
+        a, b = ngram_buckets(words[k : k + 10_000], buckets)
+        whose.append((a + k).astype(np.int32))
+        where.append(b.astype(np.int32))
+    return np.concatenate(whose), np.concatenate(where)
+
+
 class Segments:
     """Sums of values that share a key, by one sort ahead of many uses."""
 
     def __init__(self, keys: np.ndarray, picks: np.ndarray, size: int):
         order = np.argsort(keys, kind="stable")
         ordered = keys[order]
-        self.starts = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]]))
-        self.keys, self.picks, self.size = ordered[self.starts], picks[order].astype(np.int32), size
+        self.starts = np.append(np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]])), len(ordered))
+        self.keys, self.picks, self.size = ordered[self.starts[:-1]], picks[order].astype(np.int32), size
+        # Whole segments of about STRETCH values together: what a sum holds at once does not grow with the sample.
+        self.cuts = np.unique(np.append(np.searchsorted(self.starts, np.arange(0, len(ordered), STRETCH)), len(self.keys)))
 
     def sums(self, values: np.ndarray) -> np.ndarray:
         out = np.zeros(self.size)
-        out[self.keys] = np.add.reduceat(values.take(self.picks), self.starts)
+        for a, b in zip(self.cuts[:-1], self.cuts[1:]):
+            first = self.starts[a]
+            out[self.keys[a:b]] = np.add.reduceat(values.take(self.picks[first : self.starts[b]]), self.starts[a:b] - first)
         return out
 
 
@@ -142,11 +157,12 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
         return SubwordModel(np.zeros(buckets), -60.0)
     token, passage = np.concatenate(tokens), np.concatenate(passage_of)
     doc, size = np.array(doc_of), np.array(lengths, np.float64)
-    whose, where = ngram_buckets(list(vocabulary), buckets)
+    whose, where = _all_ngrams(list(vocabulary), buckets)
     grams = np.maximum(np.bincount(whose, minlength=len(vocabulary)), 1).astype(np.float64)
     rng = np.random.default_rng(seed)
     words_of_grams, grams_of_words = Segments(whose, where, len(vocabulary)), Segments(where, whose, buckets)
     passages_of_tokens, tokens_of_passages = Segments(passage, token, len(size)), Segments(token, passage, len(vocabulary))
+    del whose, where, token, passage, tokens, passage_of  # the segments hold what is needed of them
     embed = np.ascontiguousarray(rng.normal(0, spread, (buckets, dim)).T)  # component x bucket
     soft = rng.normal(0, 0.5, (dim, 2))
     bias = np.zeros(2)
@@ -160,7 +176,7 @@ def train(texts: list[str], labels: list[int], buckets: int = BUCKETS, dim: int
         g_embed = grams_of_words.sums(tokens_of_passages.sums(g) / grams) + decay * embed[k]
         adam(embed[k], g_embed, embed_m[k], embed_v[k], t, now, floor)
 
-    pool = ThreadPoolExecutor(dim)  # components do not meet but in the softmax
+    pool = ThreadPoolExecutor(min(dim, 2))  # components do not meet but in the softmax
     y = y_all[doc]
     doc_words = np.bincount(doc, size, len(texts))
     for t in range(1, warm + steps + 1):
