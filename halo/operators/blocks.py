@@ -41,7 +41,9 @@ def time_blocks(df: DataFrame, size: int, left: int, right: int, origin: int = 0
     first, last = (low_end - origin) // size, (high_end - origin) // size
     low = F.greatest(F.lit(first), floor_div(place - F.lit(right), size))
     high = F.least(F.lit(last), floor_div(place + F.lit(left), size))
-    out = df.where(F.col(on).isNotNull() & (low <= high)).withColumn("block", F.explode(F.sequence(low.cast("bigint"), high.cast("bigint"))))
+    # An empty array, not a filter: the optimizer would carry a filter, and the arithmetic of the index, down to every input row.
+    blocks = F.when(low <= high, F.sequence(low.cast("bigint"), high.cast("bigint"))).otherwise(F.array().cast("array<bigint>"))
+    out = df.withColumn("block", F.explode(blocks))
     out = out.withColumn("is_core", F.col("block") == floor_div(place, size))
     by = [*keys, "block"]
     return (out.repartition(partitions, *by) if partitions else out.repartition(*by)).sortWithinPartitions(*by, on)
