@@ -69,16 +69,15 @@ def _end_sums(long, H):
     return e.groupBy("lag", "i").agg(F.sum(F.when(F.col("idx") < F.col("lag"), F.col("v")).otherwise(0)).alias("head"), F.sum(F.when(F.col("idx") >= N_L - F.col("lag"), F.col("v")).otherwise(0)).alias("tail"))
 
 
-@query("autocov_suppliers_tiles", supplier_sql(", k AS (SELECT * FROM c WHERE dim < 100) SELECT CAST(h.l AS INTEGER) AS lag, a.dim AS i, b.dim AS j, round(sum(a.z * b.z) / (count(*) - 1), 8) AS value FROM range(2) h(l) JOIN k a ON true JOIN k b ON b.idx = a.idx + h.l GROUP BY 1, 2, 3"))
+@query("autocov_suppliers_tiles", supplier_sql(" SELECT CAST(h.l AS INTEGER) AS lag, a.dim AS i, b.dim AS j, round(sum(a.z * b.z) / (count(*) - 1), 8) AS value FROM range(2) h(l) JOIN c a ON true JOIN c b ON b.idx = a.idx + h.l GROUP BY 1, 2, 3"))
 def _(spark, d):
-    """All pairs of the first hundred suppliers by square tiles; entries never meet on the driver."""
+    """All pairs of suppliers by square tiles; entries never meet on the driver."""
     long, n = _suppliers(spark, d)
-    n = min(n, 100)
-    wide = grid.dense(long.where(f"dim < {n}"), N_L, n)
-    present = long.where(f"dim < {n}").select("dim").distinct()
+    wide = grid.dense(long, N_L, n)
+    present = long.select("dim").distinct()
     b = lay.time_blocks(grid.to_wide(wide, n), 512, 0, 1, bounds=(0, N_L - 1))
     mu = np.zeros(n)
-    for r in long.where(f"dim < {n}").groupBy("dim").agg(F.sum("v").alias("s")).collect():
+    for r in long.groupBy("dim").agg(F.sum("v").alias("s")).collect():
         mu[r.dim] = r.s / N_L
     got = moments.tile_covariances(moments.lag_tiles(b, 1, 1, 32), mu, N_L, tile=32)
     keep = got.join(present.withColumnRenamed("dim", "i"), "i", "left_semi").join(present.withColumnRenamed("dim", "j"), "j", "left_semi")
