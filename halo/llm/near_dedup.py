@@ -37,12 +37,14 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from halo.llm.common import fresh_name, scratch_root, stash
+from halo.llm.common import fresh_name, scratch_root, shuffle_partitions, stash
 from halo.llm.tokenise import _shared
 
 #: Ids of documents with candidate links up to this many (8 bytes each) are broadcast to the scan of texts.
 BROADCAST_IDS = 2_000_000
 WORD_CACHE = 250_000
+#: Keys of more than 1 / HOT of the rows of a join by key are dealt over all its tasks: fewer than HOT keys.
+HOT = 1000
 #: Documents of a block in the comparisons that are left after the star rounds.
 BLOCK = 2048
 
@@ -234,6 +236,20 @@ def components(edges: DataFrame, root: str) -> DataFrame:
     return labels.select("v", F.col("p").alias("label"))
 
 
+def meet(rows: DataFrame, table: DataFrame, key: str, size: str) -> DataFrame:
+    """`rows` (id, ...) joined by `key` with the stored `table`, one row a key, whose column `size` counts the rows that it meets.
+
+    Rows of a hot key are dealt over the shuffle's partitions by id, and the key's row is copied to each.
+    """
+    n = shuffle_partitions(rows.sparkSession)
+    hot = F.col(size) * HOT > F.lit(table.agg(F.sum(size)).first()[0] or 0)
+    few = table.where(hot).select(key, F.lit(True).alias("_hot"))
+    salt = F.when(F.col("_hot"), F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")).otherwise(F.lit(0))
+    dealt = rows.join(F.broadcast(few), key, "left").withColumn("_salt", salt).drop("_hot")
+    copies = table.withColumn("_salt", F.explode(F.when(hot, F.sequence(F.lit(0), F.lit(n - 1))).otherwise(F.array(F.lit(0)))))
+    return dealt.join(copies, [key, "_salt"]).drop("_salt")
+
+
 def _labelled(rows: DataFrame, labels: DataFrame | None) -> DataFrame:
     """`rows` (id, ...) with column c, the component so far."""
     if labels is None:
@@ -279,8 +295,8 @@ def _block_compare(live: DataFrame, sets: DataFrame, percent: int, path: str) ->
     members = live.select(F.col("lead.id").alias("p"), "id", "c").distinct()
     counts = members.groupBy("p", "c").agg(F.count(F.lit(1)).alias("m"))
     main = counts.groupBy("p").agg(F.max_by("c", F.struct("m", "c")).alias("main"), F.max("m").alias("top"), F.sum("m").alias("all"), F.count(F.lit(1)).alias("k"))
-    blocks = main.where("k > 1").select("p", "main", F.ceil(F.col("all") / BLOCK).cast("int").alias("nw"), F.ceil((F.col("all") - F.col("top")) / BLOCK).cast("int").alias("ns"))
-    known = stash(members.join(blocks, "p"), path, "zstd")
+    blocks = main.where("k > 1").select("p", "main", "all", F.ceil(F.col("all") / BLOCK).cast("int").alias("nw"), F.ceil((F.col("all") - F.col("top")) / BLOCK).cast("int").alias("ns"))
+    known = stash(meet(members, stash(blocks, f"{path}-sizes"), "p", "all").drop("all"), path, "zstd")
 
     def dealt(own: str, own_n: str, other: str, other_n: str, role: int, rows: DataFrame) -> DataFrame:
         block = F.pmod(F.xxhash64("id"), F.col(own_n)).cast("int").alias(own)
@@ -302,8 +318,8 @@ def near_groups(docs: DataFrame, config: NearConfig = NearConfig(), text_col: st
     able = reps.where(F.col("n_shingles") * 100 >= (F.col("n_shingles") + 1) * config.percent)
     keyed = able.select("id", F.col("n_shingles").alias("n"), "sig").mapInArrow(_keys(config), "id bigint, n bigint, key bigint")
     # Keys that one representative alone has cannot link it.
-    common = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
-    index = stash(keyed.join(common, "key"), f"{root}/index", "zstd")
+    common = stash(keyed.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), f"{root}/common", "zstd")
+    index = stash(meet(keyed, common, "key", "m"), f"{root}/index", "zstd")
     # How many others share the keys of a document: central members of a family have the most.
     central = stash(index.groupBy("id").agg(F.sum("m").cast("double").alias("central")), f"{root}/central")
     edges, labels, sets, seen = [], None, None, None
@@ -314,9 +330,9 @@ def near_groups(docs: DataFrame, config: NearConfig = NearConfig(), text_col: st
         last = r == config.star_rounds
         jitter = F.pmod(F.xxhash64("id", F.lit(r)), F.lit(1000)) / 1000.0
         rank = F.col("central") if last else F.col("central") * (1.0 - (0.3 * min(r, config.star_rounds - 1)) * jitter)
-        per = rows.groupBy("key").agg(F.min("c").alias("_lo"), F.max("c").alias("_hi"), F.max_by(F.struct("id", "n", "c"), F.struct(rank, F.col("id"))).alias("lead"))
-        mixed = per.where("_lo < _hi").select("key", "lead")
-        live_rows = stash(rows.join(mixed, "key"), f"{root}/live{r}", "zstd")
+        per = rows.groupBy("key").agg(F.count(F.lit(1)).alias("_m"), F.min("c").alias("_lo"), F.max("c").alias("_hi"), F.max_by(F.struct("id", "n", "c"), F.struct(rank, F.col("id"))).alias("lead"))
+        mixed = stash(per.where("_lo < _hi").select("key", "lead", "_m"), f"{root}/mixed{r}", "zstd")
+        live_rows = stash(meet(rows, mixed, "key", "_m").drop("_m"), f"{root}/live{r}", "zstd")
         if live_rows.isEmpty():
             break
         near = live_rows.where((F.col("c") != F.col("lead.c")) & sizes_allow(F.col("n"), F.col("lead.n"), config.percent))
