@@ -6,12 +6,12 @@ Layout of an output folder:
 Parquet is only the container that any store can hold and that Spark commits file by file; `data` is a
 self-contained block of halo.llm.rans. File f holds the f-th range of ids, its blocks follow one another.
 
-Steps: range partition by id and encode to ids (written once, so a lost executor repeats its range
-only); count all ids (a table bounded by the vocabulary goes to the driver); code block by block; read
+Steps: range partition by id and a hash of the text, and encode to ids (written once, so a lost executor
+repeats its range only); count all ids (a table bounded by the vocabulary goes to the driver); code block by block; read
 back block by block. A block holds whole documents, at least BLOCK_IDS ids but for the last of a file.
 
-Defined results: null and empty texts give the end id alone; rows that repeat an id follow one another;
-a null id sorts first and comes back as null; an empty table gives no blocks; other columns are not read.
+Defined results: null and empty texts give the end id alone; rows that repeat an id follow one another
+in the order of that hash, over as many files as they fill; a null id sorts first and comes back as null; an empty table gives no blocks; other columns are not read.
 """
 
 from __future__ import annotations
@@ -111,7 +111,9 @@ def write_corpus(docs: DataFrame, path: str, vocab: Vocabulary, text_col: str =
     spark, root = docs.sparkSession, scratch_root(docs.sparkSession)
     files = files or shuffle_partitions(spark)
     pairs = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
-    placed = pairs.repartitionByRange(files, "id").sortWithinPartitions("id", "text")
+    # The hash splits the rows of an id that many of them share.
+    ranged = pairs.withColumn("h", F.xxhash64("text")).repartitionByRange(files, "id", "h")
+    placed = ranged.sortWithinPartitions("id", "h", "text").select("id", "text")
     raw = stash(placed.mapInArrow(_raw_blocks(vocab, block_ids), RAW), f"{root}/ids", "zstd")
     counts = np.zeros(vocab.size, np.int64)
     for r in raw.select("data").mapInArrow(_count_ids(vocab.size), "token int, n bigint").groupBy("token").agg(F.sum("n").alias("n")).collect():

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 public_tokenizers = pytest.importorskip("public_tokenizers")
 
-from halo.llm import mixing, queries, topk_search, toxicity, url_filter  # noqa: E402
+from halo.llm import mixing, queries, token_output, topk_search, toxicity, url_filter  # noqa: E402
 from halo.llm.common import fresh_name, scratch_root, stash  # noqa: E402
 from halo.llm.tokenise import PieceEncoder  # noqa: E402
 from tests.llm.test_ops import FOLD, WORD, brute_components, check_packing, reference_ids  # noqa: E402
@@ -162,3 +162,19 @@ def test_pipeline_by_brute_force(spark, tiny):
         cuts = [(0, min(first, len(t))), *((s, s + 2048) for s in range(first, len(t), 2048))]
         want.update((i, k, a, b - a, zlib.crc32(t[a:b].tobytes())) for k, (a, b) in enumerate(cuts))
     assert collections.Counter((r.doc_id, r.piece, r.start, r.length, r.ids_crc32) for r in packed) == want
+
+
+def test_token_output_deals_one_id_over_files(spark, tmp_path):
+    rows = [(7, f"word {k} of a hot id") for k in range(3000)] + [(None, f"no id {k}") for k in range(500)] + [(k, f"own text {k}") for k in range(0, 400, 3)]
+    random.Random(3).shuffle(rows)
+    vocab, path = queries.word_vocabulary(), str(tmp_path / "c")
+    token_output.write_corpus(spark.createDataFrame(rows, "doc_id bigint, text string").repartition(5), path, vocab, files=8, block_ids=2000)
+    got = token_output.read_corpus(spark, path).orderBy("start").collect()
+    crc = [zlib.crc32(i.tobytes()) for i in reference_ids(vocab.path, [t for _, t in rows], 2)]
+    assert collections.Counter((r.doc_id, r.ids_crc32) for r in got) == collections.Counter((i, c) for (i, _), c in zip(rows, crc))
+    assert [r.start for r in got] == np.concatenate([[0], np.cumsum([r.n_tokens for r in got])[:-1]]).tolist()
+    order = [(r.doc_id is not None, r.doc_id or 0) for r in got]
+    assert order == sorted(order)
+    blocks = token_output.read_blocks(spark, path).collect()
+    hot = {b.file_no: int((np.frombuffer(b.doc_ids, "<i8") == 7).sum()) for b in blocks}
+    assert sum(n > 0 for n in hot.values()) >= 4
