@@ -14,7 +14,7 @@ from halo.models import banded, fit, likelihood, moments, predict
 from halo.models.process import Process, noise
 from halo.operators import blocks as lay
 from halo.operators import difference, graph, grid, irregular, kernels, space
-from halo.plans.scratch import folder
+from halo.plans.scratch import folder, stash
 from halo.sources.ingest import micros, read
 from halo.streaming import stream
 
@@ -588,13 +588,15 @@ def _(spark, d):
 
 @query("traffic_simulate")
 def _(spark, d):
+    root = scratch(spark)
     e = series.nation_edges(spark, d)
-    s = series.nation_days(spark, d)
-    cap = s.groupBy("v").agg((F.max("x") * 2).alias("cap")).persist()
+    s = stash(series.nation_days(spark, d), f"{root}/days")
+    cap = stash(s.groupBy("v").agg((F.max("x") * 2).alias("cap")), f"{root}/cap")
     now = s.where("idx = 0").select(F.lit(0).alias("step"), "v", F.col("x").alias("n"))
     out = now
     for k in range(1, 4):
-        now = graph.traffic_step(now, e, cap, ["step"], seed=17).select((F.lit(k)).alias("step"), "v", "n")
+        # A step reads the one before several times, so each is written once.
+        now = stash(graph.traffic_step(now, e, cap, ["step"], seed=17).select((F.lit(k)).alias("step"), "v", "n"), f"{root}/step-{k}")
         out = out.unionByName(now)
     return out
 
