@@ -239,13 +239,16 @@ def components(edges: DataFrame, root: str) -> DataFrame:
 def meet(rows: DataFrame, table: DataFrame, key: str, size: str) -> DataFrame:
     """`rows` (id, ...) joined by `key` with the stored `table`, one row a key, whose column `size` counts the rows that it meets.
 
-    Rows of a hot key are dealt over the shuffle's partitions by id, and the key's row is copied to each.
+    Rows of a hot key are dealt over the shuffle's partitions by id, and the key's row is copied to each. Hot keys, fewer
+    than HOT, are a set of constants of the plan: rows are told apart without another join.
     """
     n = shuffle_partitions(rows.sparkSession)
-    hot = F.col(size) * HOT > F.lit(table.agg(F.sum(size)).first()[0] or 0)
-    few = table.where(hot).select(key, F.lit(True).alias("_hot"))
-    salt = F.when(F.col("_hot"), F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")).otherwise(F.lit(0))
-    dealt = rows.join(F.broadcast(few), key, "left").withColumn("_salt", salt).drop("_hot")
+    total = table.agg(F.sum(size)).first()[0] or 0
+    few = [r[0] for r in table.where(F.col(size) * HOT > F.lit(total)).select(key).collect()]
+    if not few:
+        return rows.join(table, key)
+    hot = F.col(key).isin(few)
+    dealt = rows.withColumn("_salt", F.when(hot, F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")).otherwise(F.lit(0)))
     copies = table.withColumn("_salt", F.explode(F.when(hot, F.sequence(F.lit(0), F.lit(n - 1))).otherwise(F.array(F.lit(0)))))
     return dealt.join(copies, [key, "_salt"]).drop("_salt")
 

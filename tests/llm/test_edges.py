@@ -178,3 +178,15 @@ def test_token_output_deals_one_id_over_files(spark, tmp_path):
     blocks = token_output.read_blocks(spark, path).collect()
     hot = {b.file_no: int((np.frombuffer(b.doc_ids, "<i8") == 7).sum()) for b in blocks}
     assert sum(n > 0 for n in hot.values()) >= 4
+
+
+def test_hot_keys_are_told_apart_without_a_join(spark, monkeypatch):
+    """A join by key would make every row of a hot key again; both a hot and a cold key meet their one row of the table."""
+    from halo.llm import near_dedup
+
+    monkeypatch.setattr(near_dedup, "HOT", 2)
+    rows = spark.range(900).select("id", F.when(F.col("id") < 800, 7).otherwise(F.col("id")).cast("bigint").alias("key"))
+    table = rows.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("key < 850")
+    got = near_dedup.meet(rows, table, "key", "m")
+    assert "LeftOuter" not in got._jdf.queryExecution().optimizedPlan().toString()
+    assert sorted((r.id, r.m) for r in got.collect()) == [(k, 800 if k < 800 else 1) for k in range(850)]
