@@ -147,3 +147,14 @@ def test_unconditional_fit_of_a_short_series(spark, tiny):
     cond, uncond, want = ar1_by_hand(x)
     assert len(x) == 50 and abs(model.a[0][0, 0] - uncond) < 1e-4 and abs(ll - want) < 1e-6
     assert abs(cond - uncond) > 1e-5 and abs(likelihood.newton(m, 49)[0, 0] - cond) < 1e-9
+
+
+def test_diagonals_of_wide_series_need_no_wide_rows(spark):
+    """A dimension far out costs nothing; a row off the grid names its dimension only."""
+    rows = [(0, 3, 2), (2, 3, 1), (1, 40_000_000, 5), (9, 7, 4)]
+    got = {(r.lag, r.i): r.value for r in moments.diagonal_covariances(spark.createDataFrame(rows, "idx bigint, dim int, v bigint"), 4, 1).collect()}
+    x = {3: [2, 0, 1, 0], 40_000_000: [0, 5, 0, 0], 7: [0, 0, 0, 0]}
+    for k, v in x.items():
+        z = np.array(v) - np.mean(v)
+        assert np.isclose(got[0, k], z @ z / 3) and np.isclose(got[1, k], z[:-1] @ z[1:] / 2)
+    assert len(got) == 6
