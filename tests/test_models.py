@@ -158,3 +158,17 @@ def test_diagonals_of_wide_series_need_no_wide_rows(spark):
         z = np.array(v) - np.mean(v)
         assert np.isclose(got[0, k], z @ z / 3) and np.isclose(got[1, k], z[:-1] @ z[1:] / 2)
     assert len(got) == 6
+
+
+def test_pairs_of_slabs_need_no_wide_rows(spark):
+    """All pairs over several slabs and a dimension far out, against numpy."""
+    rng = np.random.default_rng(5)
+    dims, x = [0, 1, 5, 9, 40_000_000], rng.integers(0, 4, (30, 5))
+    rows = [(t, d, int(x[t, k])) for t in range(30) for k, d in enumerate(dims) if x[t, k]]
+    root = f"{spark.conf.get('spark.checkpoint.dir')}/slabs-test"
+    got = {(r.lag, r.i, r.j): r.value for r in moments.wide_covariances(spark.createDataFrame(rows, "idx bigint, dim int, v bigint"), 30, 1, root, 4).collect()}
+    z = x - x.mean(axis=0)
+    for h in (0, 1):
+        c = z[: 30 - h].T @ z[h:] / (29 - h)
+        assert all(np.isclose(got[h, p, q], c[a, b]) for a, p in enumerate(dims) for b, q in enumerate(dims))
+    assert len(got) == 50
