@@ -172,3 +172,13 @@ def test_pairs_of_slabs_need_no_wide_rows(spark):
         c = z[: 30 - h].T @ z[h:] / (29 - h)
         assert all(np.isclose(got[h, p, q], c[a, b]) for a, p in enumerate(dims) for b, q in enumerate(dims))
     assert len(got) == 50
+
+
+def test_lag_products_beyond_doubles_are_exact(spark):
+    """Sums of products above 2^53 to the last digit, over several blocks."""
+    from halo.operators import blocks as lay
+
+    v = [100_000_007 + 3 * t for t in range(40)]
+    b = lay.time_blocks(spark.createDataFrame([(t, [float(x)]) for t, x in enumerate(v)], "idx bigint, x array<double>"), 16, 0, 2)
+    got = {r.lag: (r.n, r.s) for r in moments.whole_lag_products(b, 2, 2).collect()}
+    assert got == {h: (40 - h, sum(p * q for p, q in zip(v, v[h:]))) for h in range(3)} and got[0][1] > 2**53
