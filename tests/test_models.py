@@ -182,3 +182,15 @@ def test_lag_products_beyond_doubles_are_exact(spark):
     b = lay.time_blocks(spark.createDataFrame([(t, [float(x)]) for t, x in enumerate(v)], "idx bigint, x array<double>"), 16, 0, 2)
     got = {r.lag: (r.n, r.s) for r in moments.whole_lag_products(b, 2, 2).collect()}
     assert got == {h: (40 - h, sum(p * q for p, q in zip(v, v[h:]))) for h in range(3)} and got[0][1] > 2**53
+
+
+def test_conjugate_gradient_ends_where_counts_are_large():
+    """Means far above the spread: 80 spectral steps stay short of the optimum, conjugate ones reach it."""
+    rng = np.random.default_rng(3)
+    x = rng.poisson(1700, (700, 2)).astype(float)
+    z, y = x[:-1], x[1:]
+    m = np.array([[y.T @ y, y.T @ z], [z.T @ y, z.T @ z]])
+    best = np.linalg.solve(z.T @ z, z.T @ y).T
+    short, _ = likelihood.gradient_fit((m, 699), 2, 1, np.eye(2), tol=1e-7, most=80)
+    theta, trace = likelihood.gradient_fit((m, 699), 2, 1, np.eye(2), "conjugate", tol=1e-7, most=80)
+    assert np.abs(short - best).max() > 1e-3 and np.abs(theta - best).max() < 1e-8 and len(trace) < 20
