@@ -3,6 +3,7 @@
 import math
 
 import numpy as np
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -260,6 +261,20 @@ def test_order_and_arma_queries(spark, tiny):
     assert len(model.a) == 1 and len(model.b) == 1 and model.sigma[0, 0] > 0
 
 
+def whole_stretches(tiny, n):
+    """Quantities of the line items in their order, standardised, as rows of n."""
+    t = pq.read_table(f"{tiny}/lineitem.parquet", columns=["l_orderkey", "l_linenumber", "l_quantity"]).to_pandas()
+    x = t.sort_values(list(t.columns)).l_quantity.to_numpy()
+    x = (x - x.mean()) / x.std(ddof=1)
+    return x[: len(x) // n * n].reshape(-1, n)
+
+
+def test_variance_of_the_mean_over_the_table(spark, tiny):
+    v = measured(spark, tiny, "estimator_variance")
+    for n in (8, 32, 128):
+        assert np.isclose(v[f"variance_{n}", "mean"], whole_stretches(tiny, n).mean(axis=1).var(ddof=1))
+
+
 def test_measures_move_as_reported(spark, tiny):
     v = measured(spark, tiny, "estimator_variances")
     assert all(-1.3 < v["slope", k] < -0.7 for k in ("mean", "covariance", "correlation", "partial"))
