@@ -275,6 +275,15 @@ def test_variance_of_the_mean_over_the_table(spark, tiny):
         assert np.isclose(v[f"variance_{n}", "mean"], whole_stretches(tiny, n).mean(axis=1).var(ddof=1))
 
 
+def test_variances_of_estimators_over_the_table(spark, tiny):
+    v = measured(spark, tiny, "estimator_variances")
+    for n in (16, 64, 256):
+        x = whole_stretches(tiny, n)
+        g0, g1, g2 = (x * x).mean(axis=1), (x[:, 1:] * x[:, :-1]).mean(axis=1), (x[:, 2:] * x[:, :-2]).mean(axis=1)
+        want = {"mean": x.mean(axis=1), "covariance": g1, "correlation": g1 / g0, "partial": (g2 * g0 - g1**2) / (g0**2 - g1**2)}
+        assert all(np.isclose(v[f"variance_{k}", f"N={n}"], w.var(ddof=1)) for k, w in want.items())
+
+
 def test_measures_move_as_reported(spark, tiny):
     v = measured(spark, tiny, "estimator_variances")
     assert all(-1.3 < v["slope", k] < -0.7 for k in ("mean", "covariance", "correlation", "partial"))
