@@ -190,3 +190,19 @@ def test_hot_keys_are_told_apart_without_a_join(spark, monkeypatch):
     got = near_dedup.meet(rows, table, "key", "m")
     assert "LeftOuter" not in got._jdf.queryExecution().optimizedPlan().toString()
     assert sorted((r.id, r.m) for r in got.collect()) == [(k, 800 if k < 800 else 1) for k in range(850)]
+
+
+def test_words_met_before_are_not_cut_again():
+    """Cutting at punctuation costs most of a warm encoder's time: once for each distinct word is enough."""
+    vocab, cuts = queries.word_vocabulary(), []
+
+    class Counting:
+        def findall(self, text, own=PieceEncoder(vocab.path, False).pattern):
+            cuts.append(text)
+            return own.findall(text)
+
+    encoder = PieceEncoder(vocab.path, vocab.keeps_space)
+    encoder.pattern = Counting()
+    first = encoder.encode(["Well, a (b) well, 'c!", None], vocab.end_id)
+    before = len(cuts)
+    assert encoder.encode(["Well, a (b) well, 'c!", None], vocab.end_id) == first and len(cuts) == before == 4
