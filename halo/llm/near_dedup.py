@@ -240,13 +240,14 @@ def meet(rows: DataFrame, table: DataFrame, key: str, size: str) -> DataFrame:
     """`rows` (id, ...) joined by `key` with the stored `table`, one row a key, whose column `size` counts the rows that it meets.
 
     Rows of a hot key are dealt over the shuffle's partitions by id, and the key's row is copied to each. Hot keys, fewer
-    than HOT, are a set of constants of the plan: rows are told apart without another join.
+    than HOT, are a set of constants of the plan: rows are told apart without another join. The largest key is always
+    among them, so the join is the same one in the plan of every table, and each row leaves it once at most.
     """
     n = shuffle_partitions(rows.sparkSession)
-    total = table.agg(F.sum(size)).first()[0] or 0
-    few = [r[0] for r in table.where(F.col(size) * HOT > F.lit(total)).select(key).collect()]
-    if not few:
+    total, largest = table.agg(F.sum(size), F.max(F.struct(size, key))).first()
+    if largest is None:
         return rows.join(table, key)
+    few = [r[0] for r in table.where(F.col(size) * HOT > F.lit(total)).select(key).collect()] or [largest[key]]
     hot = F.col(key).isin(few)
     dealt = rows.withColumn("_salt", F.when(hot, F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")).otherwise(F.lit(0)))
     copies = table.withColumn("_salt", F.explode(F.when(hot, F.sequence(F.lit(0), F.lit(n - 1))).otherwise(F.array(F.lit(0)))))

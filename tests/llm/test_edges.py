@@ -192,6 +192,23 @@ def test_hot_keys_are_told_apart_without_a_join(spark, monkeypatch):
     assert sorted((r.id, r.m) for r in got.collect()) == [(k, 800 if k < 800 else 1) for k in range(850)]
 
 
+def test_joins_by_key_have_one_form_and_give_each_row_once(spark):
+    """Without a hot key the join had another form, so its rows could not be compared with those of a table that has one."""
+    from halo.llm import near_dedup
+
+    def met(size):
+        rows = spark.range(6000).select("id", F.when(F.col("id") < size, -1).otherwise(F.col("id") % 2000).cast("bigint").alias("key"))
+        table = rows.groupBy("key").agg(F.count(F.lit(1)).alias("m"))
+        got = near_dedup.meet(rows, table, "key", "m")
+        assert "_salt" in got._jdf.queryExecution().optimizedPlan().toString()
+        assert got.count() == got.select("id").distinct().count() == 6000
+        return {r.m for r in got.where("key = -1").select("m").distinct().collect()}
+
+    assert [met(size) for size in (0, 1, 2000, 4000)] == [set(), {1}, {2000}, {4000}]
+    rows = spark.range(10).select("id", F.col("id").alias("key"))
+    assert near_dedup.meet(rows, rows.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "key", "m").isEmpty()
+
+
 def test_words_met_before_are_not_cut_again():
     """Cutting at punctuation costs most of a warm encoder's time: once for each distinct word is enough."""
     vocab, cuts = queries.word_vocabulary(), []
