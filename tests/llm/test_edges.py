@@ -223,3 +223,26 @@ def test_words_met_before_are_not_cut_again():
     first = encoder.encode(["Well, a (b) well, 'c!", None], vocab.end_id)
     before = len(cuts)
     assert encoder.encode(["Well, a (b) well, 'c!", None], vocab.end_id) == first and len(cuts) == before == 4
+
+
+def test_each_distinct_word_is_looked_up_once_a_call():
+    """Words that come again cost an index; plain words and marks after letters cost no search of the library's own."""
+    vocab = queries.word_vocabulary()
+    encoder = PieceEncoder(vocab.path, vocab.keeps_space)
+    texts = ["", None, " The  cat,\tthe CAT%%% \r\nthe\ncat,", "the" * 3 + "%%%", "x\u2003y", " "] * 40 + ["\u00c9t\u00e9 \u0130 \u00e9t\u00e9%%% (632) a1b2"]
+    want = [[*e.ids, vocab.end_id] for e in encoder.tokenizer.encode_batch([t or "" for t in texts], add_special_tokens=False)]
+
+    class Counting(dict):
+        asked = 0
+
+        def get(self, name, default=None):
+            Counting.asked += 1
+            return dict.get(self, name, default)
+
+    encoder.known = Counting()
+    for _ in range(2):
+        Counting.asked = 0
+        assert [np.frombuffer(x, "<u4").tolist() for x in encoder.encode(texts, vocab.end_id)] == want
+        assert Counting.asked <= 20
+    assert {"the", "%%%"} <= set(encoder.known)
+    assert encoder.encode([], vocab.end_id) == []
