@@ -174,6 +174,43 @@ def test_pairs_of_slabs_need_no_wide_rows(spark):
     assert len(got) == 50
 
 
+def test_slabs_are_shuffled_once_not_once_a_pair(spark):
+    """Twelve slabs: the shuffles carry cells and slabs, never the 144 pairs; entries are rounded as Spark rounds."""
+    from pyspark.sql import functions as F
+
+    x = np.random.default_rng(6).integers(0, 4, (30, 24))
+    rows = [(t, 100 * d, int(x[t, d])) for t in range(30) for d in range(24)]
+    root = f"{spark.conf.get('spark.checkpoint.dir')}/slabs-once"
+    long = spark.createDataFrame(rows, "idx bigint, dim int, v bigint")
+    df = moments.wide_covariances(long, 30, 1, root, 200, digits=2)
+    got = {(r.lag, r.i, r.j): r.value for r in df.collect()}
+    plain = moments.wide_covariances(long, 30, 1, f"{root}-plain", 200).withColumn("value", F.round("value", 2))
+    assert len(got) == 2 * 24 * 24 and got == {(r.lag, r.i, r.j): r.value for r in plain.collect()}
+    written, plans = [], [df._jdf.queryExecution().executedPlan()]
+    while plans:
+        p = plans.pop()
+        if p.nodeName() == "AdaptiveSparkPlan":
+            p = p.executedPlan()
+        while p.nodeName().endswith("QueryStage"):
+            p = p.plan()
+        if p.metrics().contains("shuffleRecordsWritten"):
+            written.append(p.metrics().apply("shuffleRecordsWritten").value())
+        plans += [p.children().apply(k) for k in range(p.children().size())]
+    assert written and sum(written) <= 2 * 12
+
+
+def test_rounding_is_that_of_spark(spark):
+    """Ties of the shortest decimal go away from zero, large and small numbers stay, no negative zero."""
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(7)
+    x = [0.0, -0.0, 5e-9, -5e-9, 1.5e-8, 0.000000025, -0.123456785, 0.123456775, 2.675, 1.005, -1e-12, 1e17, 4.6e7 + 0.1, 9007199254740993.0, 1e300, *rng.normal(0, 30, 300), *(rng.integers(-999, 999, 300) / 2e3)]
+    for digits in (8, 2):
+        want = [r.y for r in spark.createDataFrame([(k, float(v)) for k, v in enumerate(x)], "k int, x double").select("k", F.round("x", digits).alias("y")).orderBy("k").collect()]
+        got = moments.rounded(np.array(x), digits)
+        assert got.tolist() == want and not np.signbit(got[np.array(x) == 0]).any()
+
+
 def test_lag_products_beyond_doubles_are_exact(spark):
     """Sums of products above 2^53 to the last digit, over several blocks."""
     from halo.operators import blocks as lay
