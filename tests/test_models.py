@@ -199,6 +199,16 @@ def test_slabs_are_shuffled_once_not_once_a_pair(spark):
     assert written and sum(written) <= 2 * 12
 
 
+def test_slabs_keep_counts_of_every_size(spark):
+    """Counts from one to four bytes, in long and short slabs, a slab with no cell on the grid."""
+    x = {0: [1, 0, 127], 1: [-128, 5, 2], 4: [128, 0, 3], 8: [40_000, 1, 0], 12: [3_000_000, 1, 9], 16: [0, 0, 0]}
+    rows = [(t, d, v) for d, c in x.items() for t, v in enumerate(c) if v] + [(99, 16, 7)]
+    root = f"{spark.conf.get('spark.checkpoint.dir')}/slabs-sizes"
+    got = {(r.lag, r.i, r.j): r.value for r in moments.wide_covariances(spark.createDataFrame(rows, "idx bigint, dim int, v bigint"), 3, 0, root, 4).collect()}
+    want = np.cov(np.array(list(x.values()), float))
+    assert len(got) == 36 and all(np.isclose(got[0, p, q], want[a, b]) for a, p in enumerate(x) for b, q in enumerate(x))
+
+
 def test_rounding_is_that_of_spark(spark):
     """Ties of the shortest decimal go away from zero, large and small numbers stay, no negative zero."""
     from pyspark.sql import functions as F
